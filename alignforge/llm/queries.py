@@ -5,8 +5,28 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
+from .decontaminate import leaks
+from .language import identify
 from .mixing import CELLS, GOLDEN, MAX_EPOCHS, N_SLOTS, SHARE, mix
 from .sharding import shard_rows
+from .simhash import near_duplicates
+from .topk import top_k
+
+
+def op2_hyperdim_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify(table(spark, sf_dir, "documents"))
+
+
+def op3_trie_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+def op7_string_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op10_maxscore_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return top_k(table(spark, sf_dir, "embeddings"))
 
 
 def op5_slot_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,6 +38,10 @@ def op6_golden_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op2_hyperdim_language": op2_hyperdim_language,
+    "op3_trie_simhash": op3_trie_simhash,
+    "op7_string_tiling": op7_string_tiling,
+    "op10_maxscore_topk": op10_maxscore_topk,
     "op5_slot_shards": op5_slot_shards,
     "op6_golden_mix": op6_golden_mix,
 }
@@ -59,6 +83,18 @@ SELECT p.doc_id, p.source, p.size, q.source_size, q.target,
 FROM placed p JOIN plan q ON p.source IS NOT DISTINCT FROM q.source
 """
 
+OP10_SQL = """
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(1024 * x::DOUBLE)::BIGINT) AS c FROM embeddings
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+pairs AS (
+  SELECT q.vec_id AS query_id, d.vec_id, list_sum(list_transform(list_zip(q.c, d.c), lambda z: coalesce(z[1] * z[2], 0)))::BIGINT AS score
+  FROM v q JOIN v d ON q.vec_id <> d.vec_id WHERE q.vec_id % 100 = 0)
+SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INT AS rank, vec_id, score FROM pairs
+QUALIFY rank <= 10
+"""
+
 ORACLES = {
+    "op10_maxscore_topk": OP10_SQL,
     "op6_golden_mix": OP6_SQL,
 }
