@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from . import cotrain, licenses, pii, warc
 from .common import table
 from .decontaminate import leaks
 from .language import identify
@@ -13,6 +15,10 @@ from .simhash import near_duplicates
 from .topk import top_k
 
 
+def op1_cotrained_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cotrain.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op2_hyperdim_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(table(spark, sf_dir, "documents"))
 
@@ -29,6 +35,22 @@ def op10_maxscore_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(table(spark, sf_dir, "embeddings"))
 
 
+def op4_warc_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(table(spark, sf_dir, "pages"))
+
+
+def op8_boosted_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.detect(table(spark, sf_dir, "documents"))
+    base = F.filter("found", lambda x: x["base"])
+    joined = lambda a: F.array_join(F.transform(a, lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
+    count = lambda kind: F.size(F.filter(base, lambda x: x["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    return found.select("doc_id", *map(count, pii.KINDS), F.sha2(joined(base), 256).alias("base_sha256"), joined(F.col("found")).alias("spans"))
+
+
+def op9_license_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op5_slot_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_rows(table(spark, sf_dir, "documents"))
 
@@ -38,12 +60,16 @@ def op6_golden_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_cotrained_quality": op1_cotrained_quality,
     "op2_hyperdim_language": op2_hyperdim_language,
     "op3_trie_simhash": op3_trie_simhash,
     "op7_string_tiling": op7_string_tiling,
     "op10_maxscore_topk": op10_maxscore_topk,
+    "op4_warc_merge": op4_warc_merge,
     "op5_slot_shards": op5_slot_shards,
     "op6_golden_mix": op6_golden_mix,
+    "op8_boosted_pii": op8_boosted_pii,
+    "op9_license_signatures": op9_license_signatures,
 }
 
 OP6_SQL = f"""
@@ -94,7 +120,16 @@ SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, v
 QUALIFY rank <= 10
 """
 
+OP4_SQL = """
+WITH p AS (SELECT page_id, coalesce(html, '') AS body, octet_length(encode(coalesce(html, '')))::BIGINT AS n FROM pages),
+d AS (SELECT page_id, n, sha256(body) AS h, min(page_id) OVER (PARTITION BY body) AS f FROM p)
+SELECT page_id, n AS payload_bytes, h AS payload_digest, CASE WHEN n < 100 OR page_id = f THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN n < 100 OR page_id = f THEN NULL ELSE f END AS refers_to
+FROM d
+"""
+
 ORACLES = {
+    "op4_warc_merge": OP4_SQL,
     "op10_maxscore_topk": OP10_SQL,
     "op6_golden_mix": OP6_SQL,
 }
