@@ -80,18 +80,20 @@ def ranked(slots: DataFrame) -> DataFrame:
     return slots.withColumn("block", F.row_number().over(W.partitionBy("source").orderBy("slot")) - 1)
 
 
-def streamed(rows: DataFrame) -> DataFrame:
-    """Adds start, a row's first token in the shuffled stream of its source.
+def streamed(rows: DataFrame, plan: DataFrame) -> DataFrame:
+    """Adds start, a row's first token in the shuffled stream of its source, and the source's plan.
 
-    Sums per 4096 md5 buckets come first; a window then runs within one bucket of one source only.
+    Sums per 4096 md5 buckets come first; a window then runs within one bucket of one source only. The
+    plan joins the sums, not the rows, so no task gets a whole source.
     """
     put = rows.withColumn("bucket", F.substring("key", 1, 3))
     ahead = W.partitionBy("source").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)
     offsets = put.groupBy("source", "bucket").agg(F.sum("size").alias("n")).select(F.col("source").alias("o_source"), F.col("bucket").alias("o_bucket"), F.coalesce(F.sum("n").over(ahead), F.lit(0)).alias("offset"))
+    offsets = offsets.join(plan, F.col("o_source").eqNullSafe(F.col("g_source"))).drop("g_source")
     inner = W.partitionBy("source", "bucket").orderBy("key", "doc_id", "size").rowsBetween(W.unboundedPreceding, -1)
     return (
         put.withColumn("inside", F.coalesce(F.sum("size").over(inner), F.lit(0)))
-        .join(offsets, F.col("source").eqNullSafe(F.col("o_source")) & (F.col("bucket") == F.col("o_bucket")))
+        .join(offsets, (F.col("bucket") == F.col("o_bucket")) & F.col("source").eqNullSafe(F.col("o_source")))
         .withColumn("start", F.col("offset") + F.col("inside"))
         .drop("o_source", "o_bucket", "offset", "inside", "bucket")
     )
@@ -110,10 +112,25 @@ def mix(docs: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
     plan = goals.join(blocks, F.col("source").eqNullSafe(F.col("b_source")), "left").select(
         F.col("source").alias("g_source"), "source_size", "target", F.least(F.coalesce("given", F.lit(0)), F.col("source_size") * MAX_EPOCHS).alias("given")
     )
-    joined = streamed(rows).join(plan, F.col("source").eqNullSafe(F.col("g_source")))
+    joined = streamed(rows, plan)
     taken, copies = F.lit(0).cast("long"), F.lit(0)
     for epoch in range(MAX_EPOCHS):
         at = F.col("start") + F.col("source_size") * epoch
         taken = taken + F.greatest(F.lit(0), F.least(F.col("size"), F.col("given") - at))
         copies = copies + (F.col("given") > at + F.expr("size div 2")).cast("int")
     return joined.select("doc_id", "source", "size", "source_size", "target", taken.cast("long").alias("taken"), copies.alias("copies"))
+
+
+def mix_documents(docs: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
+    """The documents themselves, each as often as mix() says, all columns kept.
+
+    Rows with equal doc_id, source and size are alike to the mix, so copies are joined by these three and
+    the mean of their counts, rounded up, holds for each.
+    """
+    plan = mix(docs, n_slots).where("copies > 0").select(F.col("doc_id").alias("__mix_id"), F.col("source").alias("__mix_source"), F.col("size").alias("__mix_size"), "copies")
+    # copies of rows that are alike differ by where they fell; one figure each keeps the join one to one
+    plan = plan.groupBy("__mix_id", "__mix_source", "__mix_size").agg(F.ceil(F.avg("copies")).cast("int").alias("__mix_copies"))
+    sized = docs.withColumn("__mix_words", word_count(F.col("text")))
+    same = F.col("doc_id").eqNullSafe(F.col("__mix_id")) & F.col("source").eqNullSafe(F.col("__mix_source")) & (F.col("__mix_words") == F.col("__mix_size"))
+    joined = sized.join(plan, same)
+    return joined.withColumn("__mix_turn", F.explode(F.sequence(F.lit(1), F.col("__mix_copies")))).select(*docs.columns)
