@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, small_batches
 
 HASHED = 96
 SHAPE = 14
@@ -83,6 +83,7 @@ def meta_view(lang: str | None, source: str | None, n_chars: int | None) -> np.n
 
 def featured(docs: DataFrame) -> DataFrame:
     """doc_id, h (a row hash) and both views of every row as binaries of fixed size; one scan."""
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

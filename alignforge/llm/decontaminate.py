@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small_batches
+
 MIN_TILE = 5
 COVERAGE = 0.5
 #: Bytes of benchmark text that one pass ships to the executors; a larger benchmark takes several passes.
@@ -136,6 +138,7 @@ def contained(seeds: Seeds, text: str | None, coverage: float = COVERAGE) -> lis
 
 def passes(benchmark: DataFrame, limit: int = PASS_BYTES) -> Iterator[Seeds]:
     """The benchmark in parts of a checked size, so what is shipped is bounded; usually one."""
+    small_batches(benchmark.sparkSession)
     rows = benchmark.select("item_id", "text")
     total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     parts = max(1, -(-total // limit))

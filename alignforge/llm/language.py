@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small_batches
+
 DIM = 512
 SEED = 20_211
 #: Expected training rows per language at most; they are drawn by a hash of doc_id.
@@ -118,6 +120,7 @@ def learn(docs: DataFrame, fit_rows: int = FIT_ROWS) -> dict[str, np.ndarray]:
     Language counts cover all rows; each language then keeps about fit_rows of its rows by hash. Partial
     bundles are summed per language and dimension on the executors, so languages x DIM numbers come back.
     """
+    small_batches(docs.sparkSession)
     rows = training_split(docs).where("not held_out and lang is not null and doc_id is not null and text is not null")
     share = {r["lang"]: fit_rows / r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # one row a language
     if not share:

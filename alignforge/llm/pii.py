@@ -24,6 +24,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import small_batches
+
 KINDS = ("email", "ip", "card", "phone")
 PRECISION = 0.99
 CONTEXT = 32
@@ -286,6 +288,7 @@ def spans(text: str | None, trees: Boosted, cut: dict[str, float]) -> tuple[list
 
 def detect(docs: DataFrame) -> DataFrame:
     """doc_id, kinds, starts, ends, scores, is_base of all spans of every row; one scan, no shuffle."""
+    small_batches(docs.sparkSession)
     trees, cut = model()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

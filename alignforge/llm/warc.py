@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, small_batches
 
 SMALL = 100
 EPOCH = datetime(2020, 1, 1, tzinfo=timezone.utc)
@@ -90,6 +90,7 @@ def write_runs(pages: DataFrame, root: str) -> DataFrame:
     An attempt writes under a name of its own and renames it when complete, so a retry or a lost executor
     leaves no half archive under the final name.
     """
+    small_batches(pages.sparkSession)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, base = _files(root)
