@@ -28,7 +28,7 @@ def code_keys(codes: DataFrame, rules: DataFrame, tree: Tree, members: DataFrame
     nodes = tree.all.join(rules.select("block", "rep", "card").distinct(), ["block", "rep", "card"], "left_semi").select(
         "block", "rep", "card", "regex", "cols", "n_cols", F.size(F.filter("cols", lambda c: ~F.exists(c, lambda x: x.isNull()))).alias("least")
     )
-    hits = other.join(nodes, F.length("code").between(F.col("least"), F.col("n_cols")) & F.col("code").rlike(F.col("regex")))
+    hits = other.join(nodes, F.length("code").between(F.col("least"), F.col("n_cols")) & F.rlike("code", F.col("regex")))
     wanted = hits.join(rules.select("block", "rep", "card", "col_ix", "attr"), ["block", "rep", "card"])
     metric, tie = tree.metric, tree.tie
 

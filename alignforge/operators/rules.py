@@ -86,7 +86,8 @@ class _Column:
 
 def _lift(tree: Tree, counts: DataFrame, t: Thresholds, denominator: str, gap_as_key: bool, low: int, skip: bool) -> DataFrame:
     nodes = tree.all.select("block", "rep", "card", "weight", "n_cols", "left_rep", "left_card", "right_rep", "right_card", "left_map", "right_map", "pattern", "round")
-    per_code = counts.join(nodes.where("card = 1").select("block", F.col("rep").alias("code")), "code").select("block", "code", "attr", "value", "n")
+    leaves = nodes.where("card = 1").select(F.col("block").alias("of_block"), F.col("rep").alias("code"))
+    per_code = counts.join(leaves, "code").select("of_block", "code", "attr", "value", "n")
     names = [c.split(" ")[0] for c in RULES.split(", ")]
 
     def climb(nodes: pd.DataFrame, claims: pd.DataFrame) -> pd.DataFrame:
@@ -140,7 +141,7 @@ def _lift(tree: Tree, counts: DataFrame, t: Thresholds, denominator: str, gap_as
         found = measures(claims, ["block", "rep", "card", "col_ix", "attr"]).join(tree.all.select("block", "rep", "card", "pattern", F.col("weight").alias("tuples")), ["block", "rep", "card"])
         share = F.col("support") / F.col("claims" if denominator == "claims" else "tuples")
         return found.withColumn("confidence", share).where(t.passed(denominator)).select(*names)
-    return nodes.groupBy("block").cogroup(per_code.groupBy("block")).applyInPandas(climb, RULES)
+    return nodes.groupBy("block").cogroup(per_code.groupBy("of_block")).applyInPandas(climb, RULES)
 
 
 def drop_implied(rules: DataFrame, tree: Tree) -> DataFrame:

@@ -479,8 +479,8 @@ def rule_counts_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _MAJORITY = """
 WITH c AS (SELECT substr(code, 7, 1) AS key, p_type AS value, count(*) AS n FROM part_code WHERE law = 2 GROUP BY 1, 2),
-r AS (SELECT *, row_number() OVER (PARTITION BY key ORDER BY n DESC, value) AS at, coalesce(lead(n) OVER (PARTITION BY key ORDER BY n DESC, value), 0) AS runner_up FROM c)
-SELECT key, value, n, runner_up FROM r WHERE at = 1"""
+r AS (SELECT *, row_number() OVER (PARTITION BY key ORDER BY n DESC, value) AS rn, coalesce(lead(n) OVER (PARTITION BY key ORDER BY n DESC, value), 0) AS runner_up FROM c)
+SELECT key, value, n, runner_up FROM r WHERE rn = 1"""
 
 
 @query("majority_part", _MAJORITY)

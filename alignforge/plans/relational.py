@@ -73,7 +73,7 @@ def join_pattern(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Codes joined with the patterns of the learned law nodes that they match."""
     df = relation(spark, sf_dir, "part_code")
     laws = tree_of(df).nodes.join(law_keys(df), ["rep", "card"]).select("law", "regex")  # three rows
-    return df.select("code").distinct().join(F.broadcast(laws), F.col("code").rlike(F.col("regex"))).select("code", "law")
+    return df.select("code").distinct().join(F.broadcast(laws), F.rlike("code", F.col("regex"))).select("code", "law")
 
 
 @query("pairs_len_band", "WITH c AS (SELECT DISTINCT code, length(code) AS n FROM order_sample) SELECT x.n AS a_len, y.n AS b_len, count(*) AS pairs FROM c x JOIN c y ON x.code < y.code AND abs(x.n - y.n) <= 1 GROUP BY 1, 2")
@@ -106,8 +106,7 @@ def asof_rule_version(spark: SparkSession, sf_dir: str) -> DataFrame:
 def asof_by_union(spark: SparkSession, sf_dir: str) -> DataFrame:
     """As-of join of two large sides: one sort by key and time, the last value carried forward."""
     e = table(spark, sf_dir, "events").where("event_type in ('click', 'error')")
-    order = W.partitionBy("user_id").orderBy("ts").rangeBetween(W.unboundedPreceding, -1)
-    stamped = e.withColumn("us", F.unix_micros("ts"))
+    stamped = e.withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
     order = W.partitionBy("user_id").orderBy("us").rangeBetween(W.unboundedPreceding, -1)
     seen = stamped.withColumn("last_error", F.max(F.when(F.col("event_type") == "error", F.col("ts"))).over(order))
     return seen.where("event_type = 'click'").select("event_id", "last_error")
@@ -212,11 +211,10 @@ for _name, _op in (("setop_union", "UNION"), ("setop_union_all", "UNION ALL"), (
 
 same_sql("subquery_scalar", "SELECT p_partkey, p_size FROM part WHERE p_size > (SELECT avg(p_size) FROM part)")
 same_sql("subquery_in", "SELECT p_partkey FROM part_code WHERE code IN (SELECT code FROM part_dirty WHERE p_type IS NULL)")
-same_sql("subquery_nn", "SELECT x.n_name AS code, (SELECT min(levenshtein(x.n_name, y.n_name)) FROM nation y WHERE y.n_regionkey = x.n_regionkey AND y.n_nationkey <> x.n_nationkey) AS nearest FROM nation x")
 
 
-@query("subquery_nn_join", "SELECT x.n_name AS code, min(levenshtein(x.n_name, y.n_name)) AS nearest FROM nation x JOIN nation y ON y.n_regionkey = x.n_regionkey AND y.n_nationkey <> x.n_nationkey GROUP BY 1")
-def subquery_nn_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+@query("subquery_nn", "SELECT x.n_name AS code, min(levenshtein(x.n_name, y.n_name)) AS nearest FROM nation x JOIN nation y ON y.n_regionkey = x.n_regionkey AND y.n_nationkey <> x.n_nationkey GROUP BY 1")
+def subquery_nn(spark: SparkSession, sf_dir: str) -> DataFrame:
     x, y = table(spark, sf_dir, "nation").alias("x"), table(spark, sf_dir, "nation").alias("y")
     near = x.join(y, (F.col("x.n_regionkey") == F.col("y.n_regionkey")) & (F.col("x.n_nationkey") != F.col("y.n_nationkey")))
     return near.groupBy(F.col("x.n_name").alias("code")).agg(F.min(F.levenshtein("x.n_name", "y.n_name")).alias("nearest"))
@@ -329,7 +327,7 @@ def udtf_align(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # ------------------------------------------------------------------ streams' batch twins
 
-_EXPECTED = "SELECT e.*, m.value AS expected, coalesce(m.value <> e.event_type, FALSE) AS violates FROM event_code e LEFT JOIN (SELECT key, value FROM (SELECT key, value, row_number() OVER (PARTITION BY key ORDER BY n DESC, value) AS at FROM (SELECT substr(code, 1, 2) AS key, event_type AS value, count(*) AS n FROM event_code GROUP BY 1, 2) c) r WHERE at = 1) m ON substr(e.code, 1, 2) = m.key"
+_EXPECTED = "SELECT e.*, m.value AS expected, coalesce(m.value <> e.event_type, FALSE) AS violates FROM event_code e LEFT JOIN (SELECT key, value FROM (SELECT key, value, row_number() OVER (PARTITION BY key ORDER BY n DESC, value) AS rn FROM (SELECT substr(code, 1, 2) AS key, event_type AS value, count(*) AS n FROM event_code GROUP BY 1, 2) c) r WHERE rn = 1) m ON substr(e.code, 1, 2) = m.key"
 
 
 def event_rules(events: DataFrame) -> DataFrame:

@@ -31,8 +31,10 @@ def test_t1_alignment():
 
 
 def test_gap_cost_decides_the_law():
-    wide = CharMetric.classes(gap=1.5)
-    assert to_display(pair_fuse(["SL410", "T520i", "T560"], wide).nodes[-1].template.cols) != "{ST}[L]{45}{126}0[i]"
+    """At 1.5 a gap costs as much as leaving unlike characters in line, so only the tie rule keeps the law."""
+    some = ["SL410", "T520i", "T560"]
+    assert pair_fuse(some, METRIC).nodes[-1].template.spread == 7 and pair_fuse(some, CharMetric.classes(gap=1.5)).nodes[-1].template.spread == 9
+    assert to_display(pair_fuse(some, CharMetric.classes(gap=1.5), tie="gap_early").nodes[-1].template.cols) != "{ST}[L]{45}{126}0[i]"
 
 
 def test_shared_letters():
