@@ -36,7 +36,6 @@ NAMES = (
     ("lgpl-2.1", "lgpl", r"(?:gnu )?lgpl ?(?:version |v ?)?2(?: 1| 0)?", r"lgpl 2 [01](?: only| or later)?"),
     ("lgpl-3", "lgpl", r"(?:gnu )?lgpl ?(?:version |v ?)?3(?: 0)?", r"lgpl 3 0(?: only| or later)?"),
     ("agpl-3", "agpl", r"(?:gnu )?agpl ?(?:version |v ?)?3(?: 0)?", r"agpl 3 0(?: only| or later)?"),
-    ("agpl-3", "affero", r"gnu affero general public", "agplv3"),
     ("mpl-1.1", "mozilla", r"mozilla public licen[cs]e (?:version |v)?1 1", "mpl 1 1"),
     ("mpl-2", "mozilla", r"mozilla public licen[cs]e (?:version |v)?2(?: 0)?", "mpl 2 0"),
     ("bsd-2-clause", "bsd", r"(?:bsd 2 clause|2 clause bsd|simplified bsd|freebsd)", "bsd 2 clause"),
@@ -116,6 +115,12 @@ PHRASES = (
     ("cc-by-sa", "cc by sa", 2, 0.9, r"cc by sa"),
     ("cc-by-nd", "cc by nd", 2, 0.9, r"cc by nd"),
     ("cc0-1.0", "creativecommons org", 3, 0.95, r"creativecommons org publicdomain zero 1 0"),
+    ("gpl-2", "general public", 2, 0.9, r"(?:gnu )?general public licen[cs]e (?:version |v ?)2(?: 0)?"),
+    ("gpl-3", "general public", 2, 0.9, r"(?:gnu )?general public licen[cs]e (?:version |v ?)3(?: 0)?"),
+    ("lgpl-2.1", "lesser general", 3, 0.9, r"(?:gnu )?lesser general public licen[cs]e (?:version |v ?)2 1"),
+    ("lgpl-3", "lesser general", 3, 0.9, r"(?:gnu )?lesser general public licen[cs]e (?:version |v ?)3(?: 0)?"),
+    ("agpl-3", "affero", 3, 0.9, r"(?:gnu )?affero general public licen[cs]e (?:version |v ?)3(?: 0)?"),
+    ("mpl-2", "mozilla", 2, 0.9, r"mozilla public licen[cs]e (?:version |v ?)2(?: 0)?"),
     ("public-domain", "public domain", 1, 0.7, r"(?:released into|dedicated to|placed in|in) the public domain"),
     ("proprietary", "all rights reserved", 1, 0.6, r"all rights reserved"),
     ("commons-clause", "commons clause", 2, 0.9, r"commons clause"),

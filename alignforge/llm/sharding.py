@@ -64,7 +64,7 @@ def edit_map(old: DataFrame, slots: DataFrame, n_shards: int, tolerance: float =
     """The next version: new byte counts, possibly more shards, as few slots moved as it takes.
 
     Slots are visited largest first; one moves only if its shard is above the mean by more than the
-    tolerance and the least loaded shard stays below the mean with it. Untouched slots keep their shard;
+    tolerance, stays at it without the slot, and the least loaded shard does not exceed it with the slot. Untouched slots keep their shard;
     slots that the old map lacks go to the least loaded shard.
     """
     joined = slots.join(old.select("virtual_slot", "shard"), "virtual_slot", "left")
@@ -80,8 +80,9 @@ def edit_map(old: DataFrame, slots: DataFrame, n_shards: int, tolerance: float =
     def step(s: Column, x: Column) -> Column:
         least, size = _least(s["loads"]), -x["neg"]
         over = F.element_at(s["loads"], F.coalesce(x["own"], F.lit(0)) + 1) > F.col("mean") * (1 + tolerance)
-        fits = F.array_min(s["loads"]) + size <= F.col("mean") * (1 + tolerance)
-        to = F.when(x["own"].isNull() | (over & fits), least).otherwise(x["own"])
+        fits = (F.array_min(s["loads"]) < F.col("mean") * (1 - tolerance)) & (F.array_min(s["loads"]) + size <= F.col("mean") * (1 + tolerance))
+        spare = F.element_at(s["loads"], F.coalesce(x["own"], F.lit(0)) + 1) - size >= F.col("mean") * (1 - tolerance)
+        to = F.when(x["own"].isNull() | (over & fits & spare), least).otherwise(x["own"])
         freed = F.when(x["own"].isNull(), s["loads"]).otherwise(_add(s["loads"], x["own"], -size))
         return F.struct(_add(freed, to, size).alias("loads"), F.concat(s["owner"], F.array(to)).alias("owner"))
 

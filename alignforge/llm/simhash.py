@@ -271,8 +271,8 @@ def keep_one_each(docs: DataFrame) -> DataFrame:
 
     Rows without a doc_id can't be told apart by it: they all stay.
     """
-    kept = components(docs).where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
-    named = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("kept_id"), "left_semi")
+    kept = components(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__kept_id")).distinct()
+    named = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi")
     order = [F.col(c) for c, kind in docs.dtypes if c != "doc_id" and not kind.startswith("map")]
-    first = named.withColumn("row_in_doc", F.row_number().over(W.partitionBy("doc_id").orderBy(*(order or [F.col("doc_id")])))).where("row_in_doc = 1").drop("row_in_doc")
+    first = named.withColumn("__row_in_doc", F.row_number().over(W.partitionBy("doc_id").orderBy(*(order or [F.col("doc_id")])))).where("__row_in_doc = 1").drop("__row_in_doc")
     return first.unionByName(docs.where("doc_id is null"))
