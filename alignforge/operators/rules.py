@@ -171,9 +171,28 @@ def majority(claims: DataFrame, by: list[str]) -> DataFrame:
     return ranked.where("at = 1").select(*by, "key", "value", "n", "runner_up")
 
 
+def choose_alignment(df: DataFrame, code: str, attrs: list[str], settings: list[dict], thresholds: Thresholds = Thresholds()) -> tuple[dict, Tree, DataFrame]:
+    """Lets attributes speak on the alignment: of several settings (metric, tie, ...), the one whose rules explain most.
+
+    A setting scores, summed over attributes, the most tuples that one node's rule explains. Returns the best
+    setting (ties to the earlier one), its tree, and (setting, attr, explained) of all.
+    """
+    from .align import dedupe, learn_tree
+
+    codes, trees, scores = dedupe(df, code), [], None
+    for k, s in enumerate(settings):
+        tree = learn_tree(codes, **s)
+        trees.append(tree)
+        one = discover(df, code, attrs, tree, thresholds).groupBy("attr").agg(F.max("support").alias("explained")).select(F.lit(k).alias("setting"), "attr", "explained")
+        scores = one if scores is None else scores.unionByName(one)
+    totals = {r["setting"]: r["n"] for r in scores.groupBy("setting").agg(F.sum("explained").alias("n")).collect()}  # a row a setting
+    best = max(range(len(settings)), key=lambda k: (totals.get(k, 0), -k))
+    return settings[best], trees[best], scores
+
+
 def rules_json(rules: DataFrame) -> list[dict]:
     """A small rule catalog for display; not for large results."""
     return [json.loads(x) for x in rules.toJSON().take(1000)]
 
 
-__all__ = ["GAP_KEY", "RULES", "Thresholds", "discover", "drop_implied", "majority", "rule_map", "rules_json"]
+__all__ = ["GAP_KEY", "RULES", "Thresholds", "choose_alignment", "discover", "drop_implied", "majority", "rule_map", "rules_json"]

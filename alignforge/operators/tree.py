@@ -8,7 +8,6 @@ the slot of its smaller rep, so slot order is rep order and argmin picks the fir
 from __future__ import annotations
 
 import time
-from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -38,13 +37,13 @@ class Fused:
     refine_hist: dict[int, int]
 
 
-def _start(codes: list[str], weights: list[int] | None, metric: CharMetric) -> tuple[Pool, list[Node]]:
+def start(codes: list[str], weights: list[int] | None, metric: CharMetric) -> tuple[Pool, list[Node]]:
     order = sorted(range(len(codes)), key=codes.__getitem__)
     leaves = [leaf(codes[k], metric, weights[k] if weights else 1) for k in order]
     return Pool(leaves, metric), [Node(t) for t in leaves]
 
 
-def _join(pool: Pool, a: int, b: int, nodes: list[Node], tie: str) -> Template:
+def join(pool: Pool, a: int, b: int, nodes: list[Node], tie: str) -> Template:
     p, q = pool.items[a], pool.items[b]
     t, left, right = fuse(p, q, pool.metric, tie)
     nodes.append(Node(t, (p.rep, p.card), (q.rep, q.card), left, right, len(nodes)))
@@ -55,7 +54,7 @@ def _join(pool: Pool, a: int, b: int, nodes: list[Node], tie: str) -> Template:
 def pair_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None = None, tie: str = "gap_late", max_cost: int | None = None) -> Fused:
     """Always fuses the cheapest of all pairs; costs are kept, so N codes take (N-1)^2 evaluations."""
     began = time.perf_counter()
-    pool, nodes = _start(codes, weights, metric)
+    pool, nodes = start(codes, weights, metric)
     n = len(pool.items)
     cost = np.full((n, n), FAR, np.int32)
     evals = 0
@@ -70,7 +69,7 @@ def pair_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None =
         b = int(arg[a])
         if max_cost is not None and best[a] > max_cost:
             break
-        t = _join(pool, a, b, nodes, tie)
+        t = join(pool, a, b, nodes, tie)
         live[b] = False
         cost[b, :], cost[:, b], best[b] = FAR, FAR, FAR
         others = np.flatnonzero(live)
@@ -87,13 +86,13 @@ def pair_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None =
         mine = others[low]
         better = (cost[mine, a] < best[mine]) | ((cost[mine, a] == best[mine]) & (a < arg[mine]))
         best[mine[better]], arg[mine[better]] = cost[mine[better], a], a
-    return Fused(nodes, _counters("pair", n, evals, nodes, 0, 0, began), {})
+    return Fused(nodes, counters("pair", n, evals, nodes, 0, 0, began), {})
 
 
 def chain_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None = None, tie: str = "gap_late", max_cost: int | None = None) -> Fused:
     """Grows one template from the cheapest pair by the code that is cheapest to absorb."""
     began = time.perf_counter()
-    pool, nodes = _start(codes, weights, metric)
+    pool, nodes = start(codes, weights, metric)
     n, evals = len(pool.items), 0
     if n > 1:
         first = (FAR, 0, 0)
@@ -104,7 +103,7 @@ def chain_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None =
             first = min(first, (int(c[j]), k, k + 1 + j))
         at, left = first[1], np.ones(n, bool)
         left[[first[1], first[2]]] = False
-        t = _join(pool, first[1], first[2], nodes, tie)
+        t = join(pool, first[1], first[2], nodes, tie)
         while left.any():
             rest = np.flatnonzero(left)
             c = pool.star(t, rest)
@@ -113,129 +112,12 @@ def chain_fuse(codes: list[str], metric: CharMetric, weights: list[int] | None =
             if max_cost is not None and int(c.min()) > max_cost:
                 break
             left[k] = False
-            t = _join(pool, min(at, k), max(at, k), nodes, tie)
+            t = join(pool, min(at, k), max(at, k), nodes, tie)
             at = min(at, k)
-    return Fused(nodes, _counters("chain", n, evals, nodes, 0, 0, began), {})
+    return Fused(nodes, counters("chain", n, evals, nodes, 0, 0, began), {})
 
 
-def bounded_fuse(
-    codes: list[str], metric: CharMetric, weights: list[int] | None = None, tie: str = "gap_late", max_cost: int | None = None,
-    profile: str = "star+inherit", independence: bool = True, lower: str = "zero",
-) -> Fused:
-    """The same tree from cost intervals: only pairs that can still be the next are evaluated.
-
-    Per selection, critical are the pairs that may sort before the pair with the lowest upper bound; with
-    independence only those that share a template with it. A pivot is measured against all templates in
-    them and its star tightens the rest by the triangle inequality; then both are found anew. A fused
-    template inherits bounds from its parts ('star+inherit') or starts at [0, FAR) ('star').
-    """
-    if not metric.packed and metric.kind != "diameter":
-        raise ValueError("bounds hold for diameter spreads only")
-    began = time.perf_counter()
-    pool, nodes = _start(codes, weights, metric)
-    n = len(pool.items)
-    lb, ub = np.zeros((n, n), np.int32), np.full((n, n), FAR, np.int32)
-    if lower == "cheap" and metric.packed:
-        lb[:] = np.abs(pool.length[:, None] - pool.length[None, :]) * metric.gap
-    evals = refines = tightenings = 0
-    hist: Counter[int] = Counter()
-    live = np.ones(n, bool)
-    best = np.full(n, FAR, np.int32)
-    arg = np.array([1 if k == 0 else 0 for k in range(n)], np.int64)
-
-    def rescan(rows: np.ndarray) -> None:
-        if len(rows):
-            best[rows], arg[rows] = ub[rows].min(axis=1), ub[rows].argmin(axis=1)
-
-    np.fill_diagonal(ub, FAR + 1)
-    np.fill_diagonal(lb, FAR + 1)
-    rescan(np.arange(n))
-    for _ in range(n - 1):
-        stars = 0
-        while True:
-            a = int(np.where(live, best, FAR + 1).argmin())
-            b = int(arg[a])
-            a, b = min(a, b), max(a, b)
-            top = int(ub[a, b])
-            pairs = _critical(lb, live, a, b, top, independence)
-            if not len(pairs):
-                break
-            pairs = np.concatenate((pairs, [[a, b]]))
-            wide = ub[pairs[:, 0], pairs[:, 1]].astype(np.int64) - lb[pairs[:, 0], pairs[:, 1]]
-            endless = ub[pairs[:, 0], pairs[:, 1]] >= FAR
-            many, score = np.zeros(n, np.int64), np.zeros(n, np.int64)
-            for side in (0, 1):
-                np.add.at(many, pairs[:, side], endless)
-                np.add.at(score, pairs[:, side], np.where(endless, 0, wide))
-            members = np.unique(pairs)
-            pivot = int(members[np.lexsort((members, -score[members], -many[members]))[0]])
-            rest = members[members != pivot]
-            ask = rest[lb[pivot, rest] != ub[pivot, rest]]
-            c = pool.star(pool.items[pivot], ask)
-            evals += len(ask)
-            for m, v in ((lb, c), (ub, c)):
-                m[pivot, ask] = v
-                m[ask, pivot] = v
-            exact = lb[pivot, rest].astype(np.int32)
-            grid = np.ix_(rest, rest)
-            low, high = lb[grid], ub[grid]
-            near, far = np.abs(exact[:, None] - exact[None, :]), exact[:, None] + exact[None, :]
-            tightenings += len(rest) * (len(rest) - 1) // 2
-            low, high = np.maximum(low, near), np.minimum(high, far)
-            np.fill_diagonal(low, FAR + 1)
-            np.fill_diagonal(high, FAR + 1)
-            lb[grid], ub[grid] = low, high
-            rescan(members)
-            stars += 1
-        hist[stars] += 1
-        refines += stars
-        if max_cost is not None and lb[a, b] > max_cost:
-            break
-        if lb[a, b] != ub[a, b]:
-            evals += 1
-        t = _join(pool, a, b, nodes, tie)
-        if max_cost is not None and t.spread > max_cost:
-            nodes.pop()
-            break
-        live[b] = False
-        if profile == "star+inherit":
-            low, high = np.maximum(np.maximum(lb[a], lb[b]), t.spread), np.minimum(ub[a], ub[b]) + t.spread
-            high = np.minimum(high, FAR)
-        else:
-            low, high = np.zeros(n, np.int32), np.full(n, FAR, np.int32)
-        low[a], high[a] = FAR + 1, FAR + 1
-        low[~live], high[~live] = FAR + 1, FAR + 1
-        lb[a], lb[:, a], ub[a], ub[:, a] = low, low, high, high
-        lb[b], lb[:, b], ub[b], ub[:, b] = FAR + 1, FAR + 1, FAR + 1, FAR + 1
-        stale = live & ((arg == a) | (arg == b))
-        stale[a] = True
-        rescan(np.flatnonzero(stale))
-        mine = np.flatnonzero(live & ~stale)
-        better = (ub[mine, a] < best[mine]) | ((ub[mine, a] == best[mine]) & (a < arg[mine]))
-        best[mine[better]], arg[mine[better]] = ub[mine[better], a], a
-    name = "bounded_inherit" if profile == "star+inherit" else "bounded_star"
-    return Fused(nodes, _counters(name, n, evals, nodes, refines, tightenings, began), dict(hist))
-
-
-def _critical(lb: np.ndarray, live: np.ndarray, a: int, b: int, top: int, independence: bool) -> np.ndarray:
-    """Pairs (x < y) other than (a, b) whose (lb, x, y) sorts before (top, a, b)."""
-    if independence:
-        found = []
-        for k in (a, b):
-            other = np.flatnonzero(live & (lb[k] <= top))
-            other = other[(other != a) & (other != b)]
-            x, y = np.minimum(other, k), np.maximum(other, k)
-            first = (lb[k, other] < top) | (x < a) | ((x == a) & (y < b))
-            found.append(np.stack((x[first], y[first]), axis=1))
-        return np.concatenate(found)
-    x, y = np.nonzero((lb <= top) & live[:, None] & live[None, :])
-    keep = (x < y) & ~((x == a) & (y == b))
-    x, y = x[keep], y[keep]
-    first = (lb[x, y] < top) | (x < a) | ((x == a) & (y < b))
-    return np.stack((x[first], y[first]), axis=1)
-
-
-def _counters(name: str, n: int, evals: int, nodes: list[Node], refines: int, tightenings: int, began: float) -> dict[str, int]:
+def counters(name: str, n: int, evals: int, nodes: list[Node], refines: int, tightenings: int, began: float) -> dict[str, int]:
     done = sum(x.left is not None for x in nodes)
     return {"n": n, "fuse_evals": evals, "fuse_done": done, "refines": refines, "tightenings": tightenings, "rounds": done, "wall_ms": int(1000 * (time.perf_counter() - began))}
 
@@ -245,6 +127,8 @@ def run(codes: list[str], metric: CharMetric, algorithm: str = "bounded", weight
         return pair_fuse(codes, metric, weights, options.get("tie", "gap_late"), options.get("max_cost"))
     if algorithm == "chain":
         return chain_fuse(codes, metric, weights, options.get("tie", "gap_late"), options.get("max_cost"))
+    from .bounded import bounded_fuse
+
     return bounded_fuse(codes, metric, weights, **options)
 
 

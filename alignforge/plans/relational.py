@@ -76,10 +76,10 @@ def join_pattern(spark: SparkSession, sf_dir: str) -> DataFrame:
     return df.select("code").distinct().join(F.broadcast(laws), F.rlike("code", F.col("regex"))).select("code", "law")
 
 
-@query("pairs_len_band", "WITH c AS (SELECT DISTINCT code, length(code) AS n FROM order_sample) SELECT x.n AS a_len, y.n AS b_len, count(*) AS pairs FROM c x JOIN c y ON x.code < y.code AND abs(x.n - y.n) <= 1 GROUP BY 1, 2")
+@query("pairs_len_band", "WITH c AS (SELECT DISTINCT code, length(code) AS n FROM order_code) SELECT x.n AS a_len, y.n AS b_len, count(*) AS pairs FROM c x JOIN c y ON x.code < y.code AND abs(x.n - y.n) <= 1 GROUP BY 1, 2")
 def pairs_len_band(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidate pairs whose length difference a cost limit allows: an equi join on length buckets, not a theta join."""
-    c = relation(spark, sf_dir, "order_sample").select("code").distinct().withColumn("n", F.length("code"))
+    c = relation(spark, sf_dir, "order_code").select("code").distinct().withColumn("n", F.length("code"))
     a = c.select(F.col("code").alias("a"), F.col("n").alias("a_len"), F.floor(F.col("n") / 2).alias("slot"))
     b = c.select(F.col("code").alias("b"), F.col("n").alias("b_len"), F.explode(F.array(*[F.floor(F.col("n") / 2) + k for k in (-1, 0, 1)])).alias("slot"))
     return a.join(b, "slot").where((F.col("a") < F.col("b")) & (F.abs(F.col("a_len") - F.col("b_len")) <= 1)).groupBy("a_len", "b_len").agg(F.count("*").alias("pairs"))
@@ -120,11 +120,11 @@ def interval_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.join(F.broadcast(v), (F.col("ts") >= F.col("since")) & (F.col("until").isNull() | (F.col("ts") < F.col("until")))).groupBy("version", "event_type").agg(F.count("*").alias("n"))
 
 
-@query("outer_rules_diff", "SELECT coalesce(a.code, b.code) AS code, a.n AS n_old, b.n AS n_new FROM (SELECT code, count(*) AS n FROM part_code WHERE p_partkey % 2 = 0 GROUP BY code) a FULL JOIN (SELECT code, count(*) AS n FROM part_code WHERE p_partkey % 3 > 0 GROUP BY code) b ON a.code = b.code")
+@query("outer_rules_diff", "SELECT coalesce(a.code, b.code) AS code, a.n AS n_old, b.n AS n_new FROM (SELECT code, count(*) AS n FROM part_code WHERE p_size <= 30 GROUP BY code) a FULL JOIN (SELECT code, count(*) AS n FROM part_code WHERE p_size > 20 GROUP BY code) b ON a.code = b.code")
 def outer_rules_diff(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = relation(spark, sf_dir, "part_code")
     n = lambda cond, name: df.where(cond).groupBy("code").agg(F.count("*").alias(name))
-    return n("p_partkey % 2 = 0", "n_old").join(n("p_partkey % 3 > 0", "n_new"), "code", "full")
+    return n("p_size <= 30", "n_old").join(n("p_size > 20", "n_new"), "code", "full")
 
 
 # ------------------------------------------------------------------ aggregates
@@ -205,7 +205,7 @@ def topk_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.withColumn("rn", F.row_number().over(W.partitionBy("law").orderBy(F.desc("n"), "colour"))).where("rn <= 3")
 
 
-_SETS = "SELECT code FROM part_code WHERE p_partkey % 2 = 0 {op} SELECT code FROM part_code WHERE p_partkey % 3 = 1"
+_SETS = "SELECT code FROM part_code WHERE p_size <= 30 {op} SELECT code FROM part_code WHERE p_size > 20"
 for _name, _op in (("setop_union", "UNION"), ("setop_union_all", "UNION ALL"), ("setop_intersect", "INTERSECT"), ("setop_intersect_all", "INTERSECT ALL"), ("setop_except", "EXCEPT"), ("setop_except_all", "EXCEPT ALL")):
     same_sql(_name, _SETS.format(op=_op))
 
@@ -235,7 +235,7 @@ def tree_path(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 same_sql(
     "char_profile",
-    "SELECT code, length(code) AS n, reverse(code) AS back, translate(code, '0123456789', '##########') AS masked, ascii(code) AS first_code, lpad(code, 10, '*') AS padded, instr(code, '-') AS dash, lower(code) AS low, substr(code, 2, 3) AS mid FROM part_code WHERE p_partkey < 500",
+    "SELECT code, length(code) AS n, reverse(code) AS back, translate(code, '0123456789', '##########') AS masked, ascii(code) AS first_code, lpad(code, 10, '*') AS padded, instr(code, '-') AS dash, lower(code) AS low, substr(code, 2, 3) AS mid FROM part_code",
 )
 
 
@@ -286,7 +286,7 @@ def map_functions_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 same_sql("math_functions", "SELECT p_partkey, greatest(p_size, 25) AS g, least(p_size, 25) AS l, abs(p_size - 25) AS d, round(log2(p_size), 6) AS lg, round(p_retailprice, 1) AS price FROM part")
-same_sql("date_functions", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(date_trunc('month', o_orderdate) AS timestamp) AS first_day FROM orders WHERE o_orderkey < 1000")
+same_sql("date_functions", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(date_trunc('month', o_orderdate) AS timestamp) AS first_day FROM orders")
 
 
 @query(

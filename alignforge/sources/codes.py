@@ -29,7 +29,6 @@ SELECT o_orderkey, CASE o_orderkey % 2
          ELSE concat('ORD.', substr(o_orderpriority, 1, 1), '/', o_orderstatus, CAST(o_custkey % 10 AS varchar(9)), CASE WHEN o_totalprice > 250000 THEN 'X' ELSE '' END) END AS code,
        CAST(o_orderkey % 2 AS int) AS law, o_orderstatus, o_orderpriority, CAST(year(o_orderdate) AS int) AS o_year, CAST(month(o_orderdate) AS int) AS o_month, o_totalprice > 250000 AS big
 FROM orders""",
-    "order_sample": "SELECT * FROM order_code WHERE o_orderkey % 20 < 2",
     "line_code": """
 SELECT l_orderkey, l_linenumber, concat(l_returnflag, l_linestatus, '-', substr(CAST(year(l_shipdate) AS varchar(9)), 3, 2), '.', CAST(month(l_shipdate) AS varchar(9)), '/', CAST(l_linenumber AS varchar(9))) AS code,
        l_returnflag, l_linestatus, CAST(year(l_shipdate) AS int) AS ship_year, CAST(month(l_shipdate) AS int) AS ship_month

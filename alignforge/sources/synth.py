@@ -11,7 +11,7 @@ from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
 
 # The characters codes are made of, by class.
 CHARSET = ("0123456789", "abcdefghijklmnopqrstuvwxyz", "-_/.+#")
@@ -118,6 +118,23 @@ class _Reader(DataSourceReader):
             yield (k, *code_of(k, self.length, self.clusters, self.sigma, self.seed))
 
 
+class _Stream(SimpleDataSourceStreamReader):
+    """The same records in order, so many per batch; offsets are record numbers, so a batch can be made again."""
+
+    def __init__(self, options: dict):
+        self.made, self.step = _Reader(options), int(options.get("rowsPerBatch", 100))
+
+    def initialOffset(self) -> dict:
+        return {"at": 0}
+
+    def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
+        end = {"at": min(start["at"] + self.step, self.made.n)}
+        return self.readBetweenOffsets(start, end), end
+
+    def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:
+        return iter(list(self.made.read(_Slice(start["at"], end["at"]))))  # Spark copies the iterator
+
+
 class CodedStrings(DataSource):
     """spark.read.format('coded_strings').option('N', ...).load()"""
 
@@ -131,6 +148,9 @@ class CodedStrings(DataSource):
     def reader(self, schema) -> DataSourceReader:
         return _Reader(self.options)
 
+    def simpleStreamReader(self, schema) -> SimpleDataSourceStreamReader:
+        return _Stream(self.options)
+
 
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(CodedStrings)

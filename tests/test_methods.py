@@ -10,7 +10,8 @@ from alignforge.operators.align import align_exact, scs_instance
 from alignforge.operators.kernel import Pool, align_costs, align_pair, fuse, fuse_cost, leaf
 from alignforge.operators.metric import CharMetric
 from alignforge.operators.pattern import fit_to, key_of, parse_display, to_display, to_regex
-from alignforge.operators.tree import aligned_members, bounded_fuse, chain_fuse, pair_fuse
+from alignforge.operators.bounded import Bounds, bounded_fuse
+from alignforge.operators.tree import aligned_members, chain_fuse, pair_fuse
 
 METRIC = CharMetric.classes()
 codes = st.text("ab12-", min_size=1, max_size=5)
@@ -167,3 +168,56 @@ def test_golden_counts():
     assert (pair_fuse(some, METRIC).counters["fuse_evals"], star.counters["fuse_evals"], both.counters["fuse_evals"]) == (33856, 17130, 3416)
     assert (star.counters["refines"], both.counters["refines"]) == (479, 256)
     assert both.refine_hist == {0: 10, 1: 109, 2: 51, 3: 11, 4: 3}
+
+
+class Costs:
+    """Stands in for a pool: fuse costs by table."""
+
+    def __init__(self, cost):
+        self.cost, self.items = cost, list(range(len(cost)))
+
+    def star(self, pivot, at):
+        import numpy as np
+
+        return np.array([self.cost[pivot][k] for k in at], np.int64)
+
+
+def test_star_bounds():
+    """Five templates, the first the pivot at 1.5, 2, 2 and 1: intervals of all other pairs, in half-units."""
+    import numpy as np
+
+    cost = np.zeros((5, 5), int)
+    cost[0, 1:] = cost[1:, 0] = (3, 4, 4, 2)
+    b = Bounds(5)
+    b.refine_star(Costs(cost), 0, np.arange(5))
+    got = {(x, y): (int(b.lb[x, y]), int(b.ub[x, y])) for x in range(1, 5) for y in range(x + 1, 5)}
+    assert got == {(1, 2): (1, 7), (1, 3): (1, 7), (1, 4): (1, 5), (2, 3): (0, 8), (2, 4): (2, 6), (3, 4): (2, 6)}
+    assert b.evals == 4 and b.tightenings == 6
+
+
+def test_critical_pairs_and_independence():
+    """A pair above the best upper bound is pruned; one that shares no template with the best pair is left for later."""
+    b = Bounds(4)
+    for (x, y), (lo, hi) in {(0, 1): (2, 5), (2, 3): (3, 8), (1, 2): (4, 9), (0, 2): (7, 9), (0, 3): (6, 9), (1, 3): (6, 9)}.items():
+        b.lb[x, y] = b.lb[y, x] = lo
+        b.ub[x, y] = b.ub[y, x] = hi
+    import numpy as np
+
+    b.rescan(np.arange(4))
+    assert b.best_upper() == (0, 1)
+    assert b.critical(0, 1, independence=False).tolist() == [[1, 2], [2, 3]]
+    assert b.critical(0, 1).tolist() == [[1, 2]]
+    assert b.pick_pivot(np.array([[1, 2], [0, 1]]))[0] == 1
+
+
+def test_tie_total_order():
+    """Among equal costs the pair of the smaller codes goes first."""
+    fused = pair_fuse(["a1", "a2", "a3", "a4"], METRIC)
+    assert [(x.left, x.right) for x in fused.nodes if x.left] == [(("a1", 1), ("a2", 1)), (("a1", 2), ("a3", 1)), (("a1", 3), ("a4", 1))]
+
+
+def test_x4_recompute():
+    """The search looks again after each star; on these codes the first best pair is not the one that is fused."""
+    r = random.Random(11)
+    some = sorted({"".join(r.choice("abc12-/") for _ in range(r.randint(3, 8))) for _ in range(40)})
+    assert shape(bounded_fuse(some, METRIC)) == shape(bounded_fuse(some, METRIC, profile="star")) == shape(pair_fuse(some, METRIC))
