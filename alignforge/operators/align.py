@@ -166,6 +166,31 @@ def learn_tree(
     return Tree(scratch.save(codes.select("block", "code", "weight").groupBy("block").applyInPandas(grow, NODES), "nodes"), metric, tie)
 
 
+SEARCHES = {"pair": {"algorithm": "pair"}, "bounded_star": {"algorithm": "bounded", "profile": "star"}, "bounded_inherit": {"algorithm": "bounded", "profile": "star+inherit"}}
+
+
+def compare_searches(codes: DataFrame, metric: CharMetric | None = None, tie: str = "gap_late", searches: tuple[str, ...] = tuple(SEARCHES)) -> DataFrame:
+    """(method, block, n, fuse_evals, fuse_done, refines, tightenings, wall_ms, refine_hist): one task per block and search.
+
+    Only figures come back, no nodes.
+    """
+    metric = metric or CharMetric.classes()
+    if "block" not in codes.columns:
+        codes = block_by(codes)
+    each = codes.select("block", "code", "weight", F.explode(F.array(*[F.lit(s) for s in searches])).alias("method"))
+
+    def measure(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        fused = T.run(pdf["code"].tolist(), metric, weights=pdf["weight"].tolist(), **{"tie": tie, **SEARCHES[key[0]]})
+        c = fused.counters
+        row = (key[0], key[1], c["n"], c["fuse_evals"], c["fuse_done"], c["refines"], c["tightenings"], c["wall_ms"], dict(fused.refine_hist))
+        return pd.DataFrame([row], columns=["method", "block", "n", "fuse_evals", "fuse_done", "refines", "tightenings", "wall_ms", "refine_hist"])
+
+    schema = "method string, block string, n long, fuse_evals long, fuse_done long, refines long, tightenings long, wall_ms long, refine_hist map<int,long>"
+    # one partition per pair of block and method, so that long searches do not share a task
+    many = each.select("method", "block").distinct().count()
+    return each.repartitionByRange(max(1, many), "method", "block").groupBy("method", "block").applyInPandas(measure, schema)
+
+
 def length_bounds(codes: DataFrame) -> DataFrame:
     """Range of any alignment's length: the longest code to all codes end to end."""
     return codes.agg(F.max(F.length("code")).cast("long").alias("lo"), F.sum(F.length("code")).cast("long").alias("hi"))

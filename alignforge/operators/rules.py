@@ -58,22 +58,26 @@ def discover(
 class _Column:
     """Claims of one (column, attribute): counts by key and value, with the figures kept up to date."""
 
-    __slots__ = ("keys", "values", "support", "claims", "inner", "size")
+    __slots__ = ("keys", "tops", "values", "support", "claims", "inner", "size")
 
     def __init__(self):
         self.keys: dict[str, dict[str, int]] = {}
+        self.tops: dict[str, int] = {}
         self.values: set[str] = set()
         self.support = self.claims = self.inner = self.size = 0
 
     def add(self, key: str, value: str, n: int) -> None:
         own = self.keys.setdefault(key, {})
-        before = max(own.values(), default=0)
-        self.size += value not in own
-        own[value] = own.get(value, 0) + n
+        had = own.get(value, 0)
+        now = own[value] = had + n
+        top = self.tops.get(key, 0)
+        if now > top:
+            self.support += now - top
+            self.tops[key] = now
+            self.inner = max(self.inner, now)
+        self.size += not had
         self.values.add(value)
         self.claims += n
-        self.support += max(before, own[value]) - before
-        self.inner = max(self.inner, own[value])
 
     def absorb(self, other: _Column) -> _Column:
         if other.size > self.size:

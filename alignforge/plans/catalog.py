@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.sql import cost_udf, spread_native
 from ..operators import align, baselines, clean, rules
-from ..operators.align import Tree, block_by, dedupe, learn_tree
+from ..operators.align import Tree, block_by, compare_searches, dedupe, learn_tree
 from ..operators.claims import largest_count, measures, node_claims, satisfies, unpivot_counts
 from ..operators.metric import CharMetric
 from ..operators.pattern import degap, render, to_display, to_regex
@@ -404,12 +404,8 @@ def bounded_not_more(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _counts(name: str, rel: str) -> None:
     @query(name)
     def counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-        """Evaluations and refines of the baseline and both pruned searches on one relation."""
-        df, out = relation(spark, sf_dir, rel), None
-        for method, options in (("pair", {"algorithm": "pair"}), ("bounded_star", {"profile": "star"}), ("bounded_inherit", {})):
-            one = tree_of(df, **options).counters.select(F.lit(method).alias("method"), "n", "fuse_evals", "fuse_done", "refines", "tightenings")
-            out = one if out is None else out.unionByName(one)
-        return out
+        """Evaluations and refines of the baseline and both pruned searches on one relation, side by side."""
+        return compare_searches(dedupe(relation(spark, sf_dir, rel))).drop("wall_ms", "refine_hist", "block")
 
 
 _counts("counts_part", "part_code")
@@ -643,11 +639,7 @@ SIZES = {"synth_len": ("l", (10, 12, 14, 16, 18, 20)), "synth_n": ("N", (50, 100
 def synthetic(spark: SparkSession, **options) -> DataFrame:
     """Counters of all three searches on generated codes."""
     base = {"N": 200, "l": 20, "CN": 50, "sigma": 0.05, "seed": 42} | options
-    codes, out = coded_strings(spark, **base), None
-    for method, o in (("pair", {"algorithm": "pair"}), ("bounded_star", {"profile": "star"}), ("bounded_inherit", {})):
-        one = tree_of(codes, **o).counters.select(F.lit(method).alias("method"), "n", "fuse_evals", "refines")
-        out = one if out is None else out.unionByName(one)
-    return out
+    return compare_searches(dedupe(coded_strings(spark, **base))).select("method", "n", "fuse_evals", "refines")
 
 
 for _group, (_option, _values) in SIZES.items():

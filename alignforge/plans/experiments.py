@@ -8,11 +8,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.align import dedupe, learn_tree
+from ..operators.align import SEARCHES, compare_searches, dedupe
 from ..sources.codes import relation
 from ..sources.synth import DEFAULTS, coded_strings
 
-SEARCHES = {"pair": {"algorithm": "pair"}, "bounded_star": {"profile": "star"}, "bounded_inherit": {}}
 # The parameter ranges of the experiments.
 LENGTHS, NUMBERS, CLUSTERS, VARIATIONS = (10, 12, 14, 16, 18, 20), (1000, 2000, 3000, 4000, 5000), (10, 25, 50, 75, 100), (0.01, 0.03, 0.05, 0.07, 0.10)
 
@@ -29,11 +28,7 @@ def generated(spark: SparkSession, settings: list[dict]) -> DataFrame:
 
 def costs(codes: DataFrame, searches: tuple[str, ...] = tuple(SEARCHES)) -> DataFrame:
     """Counters per block and search."""
-    out = None
-    for name in searches:
-        one = learn_tree(codes.repartition(codes.select("block").distinct().count(), "block"), **SEARCHES[name]).counters.select(F.lit(name).alias("search"), "block", "n", "fuse_evals", "refines", "tightenings", "wall_ms", "refine_hist")
-        out = one if out is None else out.unionByName(one)
-    return out
+    return compare_searches(codes, searches=searches)
 
 
 def real(spark: SparkSession, sf_dir: str) -> DataFrame:
