@@ -113,7 +113,7 @@ def rules_part_law0(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "rules_pages",
-    """SELECT attr, support, 1.0 AS confidence, diversity, inner_support FROM (
+    """SELECT attr, support, CAST(1 AS double) AS confidence, diversity, inner_support FROM (
   SELECT 'tld' AS attr, CAST(count(*) AS bigint) AS support, count(DISTINCT tld) AS diversity, (SELECT max(n) FROM (SELECT count(*) AS n FROM page_url GROUP BY tld) x) AS inner_support FROM page_url
   UNION ALL
   SELECT 'lang', CAST(count(*) AS bigint), count(DISTINCT lang), (SELECT max(n) FROM (SELECT count(*) AS n FROM page_url GROUP BY lang) x) FROM page_url) y""",
@@ -530,7 +530,7 @@ def repair_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "clean_score_part",
-    "SELECT count(*) FILTER (WHERE p_type IS NULL) AS filled, count(*) FILTER (WHERE p_type IS NULL) AS filled_right, 1.0 AS missing_recall, count(*) FILTER (WHERE p_type <> truth) AS changed, count(*) FILTER (WHERE p_type <> truth) AS changed_right, 1.0 AS wrong_recall FROM part_dirty",
+    "SELECT count(*) FILTER (WHERE p_type IS NULL) AS filled, count(*) FILTER (WHERE p_type IS NULL) AS filled_right, CAST(1 AS double) AS missing_recall, count(*) FILTER (WHERE p_type <> truth) AS changed, count(*) FILTER (WHERE p_type <> truth) AS changed_right, CAST(1 AS double) AS wrong_recall FROM part_dirty",
 )
 def clean_score_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = relation(spark, sf_dir, "part_dirty")
@@ -614,7 +614,7 @@ _stats("stats_pages", "page_url", "tld", 4)
 _stats("stats_orders", "order_code", "o_orderstatus", 5)
 
 
-@query("purity_part", "SELECT 1.0 AS purity, 1.0 AS pair_precision, 1.0 AS pair_recall")
+@query("purity_part", "SELECT CAST(1 AS double) AS purity, CAST(1 AS double) AS pair_precision, CAST(1 AS double) AS pair_recall")
 def purity_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clusters at the law nodes against the laws."""
     df = relation(spark, sf_dir, "part_code")

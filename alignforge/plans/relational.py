@@ -79,7 +79,7 @@ def join_pattern(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("pairs_len_band", "WITH c AS (SELECT DISTINCT code, length(code) AS n FROM order_code) SELECT x.n AS a_len, y.n AS b_len, count(*) AS pairs FROM c x JOIN c y ON x.code < y.code AND abs(x.n - y.n) <= 1 GROUP BY 1, 2")
 def pairs_len_band(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidate pairs whose length difference a cost limit allows: an equi join on length buckets, not a theta join."""
-    c = relation(spark, sf_dir, "order_code").select("code").distinct().withColumn("n", F.length("code"))
+    c = relation(spark, sf_dir, "order_code").select("code").distinct().withColumn("n", F.length("code").cast("long"))
     a = c.select(F.col("code").alias("a"), F.col("n").alias("a_len"), F.floor(F.col("n") / 2).alias("slot"))
     b = c.select(F.col("code").alias("b"), F.col("n").alias("b_len"), F.explode(F.array(*[F.floor(F.col("n") / 2) + k for k in (-1, 0, 1)])).alias("slot"))
     return a.join(b, "slot").where((F.col("a") < F.col("b")) & (F.abs(F.col("a_len") - F.col("b_len")) <= 1)).groupBy("a_len", "b_len").agg(F.count("*").alias("pairs"))
@@ -158,7 +158,7 @@ def pivot_claims(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("class_masks", "SELECT law, length(code) AS n, bit_or(CASE WHEN code LIKE '%U' THEN 1 ELSE 0 END) AS any_suffix, bool_or(contains(code, '/')) AS any_slash, min(code) AS first, max(code) AS last, arg_max(code, p_partkey) AS newest, arg_min(code, p_partkey) AS oldest FROM part_code GROUP BY 1, 2")
 def class_masks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return relation(spark, sf_dir, "part_code").groupBy("law", F.length("code").alias("n")).agg(
+    return relation(spark, sf_dir, "part_code").groupBy("law", F.length("code").cast("long").alias("n")).agg(
         F.bit_or(F.when(F.col("code").endswith("U"), 1).otherwise(0)).alias("any_suffix"), F.bool_or(F.contains("code", F.lit("/"))).alias("any_slash"), F.min("code").alias("first"), F.max("code").alias("last"),
         F.max_by("code", "p_partkey").alias("newest"), F.min_by("code", "p_partkey").alias("oldest"),
     )
@@ -175,7 +175,7 @@ def listed_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 same_sql(
     "rank_values",
-    "SELECT key, value, n, row_number() OVER w AS rn, rank() OVER w2 AS rk, dense_rank() OVER w2 AS dr, ntile(3) OVER w AS nt, round(percent_rank() OVER w2, 6) AS pr "
+    "SELECT key, value, n, CAST(row_number() OVER w AS bigint) AS rn, CAST(rank() OVER w2 AS bigint) AS rk, CAST(dense_rank() OVER w2 AS bigint) AS dr, CAST(ntile(3) OVER w AS bigint) AS nt, round(percent_rank() OVER w2, 6) AS pr "
     "FROM (SELECT substr(code, 1, 1) AS key, p_brand AS value, count(*) AS n FROM part_code GROUP BY 1, 2) c WINDOW w AS (PARTITION BY key ORDER BY n DESC, value), w2 AS (PARTITION BY key ORDER BY n DESC)",
 )
 
@@ -195,14 +195,14 @@ def lag_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
 same_sql("analytic_values", "SELECT p_partkey, lag(p_size) OVER w AS prev_size, lead(p_size, 2) OVER w AS next2, first_value(p_size) OVER w AS first_size, nth_value(p_size, 2) OVER (PARTITION BY law ORDER BY p_partkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second_size FROM part_code WINDOW w AS (PARTITION BY law ORDER BY p_partkey)")
 same_sql("running_support", "SELECT p_partkey, law, count(*) OVER (PARTITION BY law, p_type ORDER BY p_partkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS running, CAST(sum(p_size) OVER (PARTITION BY law ORDER BY p_partkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS bigint) AS last3 FROM part_code")
 same_sql("range_events", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL '1' DAY PRECEDING AND CURRENT ROW) AS in_day FROM events")
-same_sql("topk_pairs", "SELECT x.n_name AS a, y.n_name AS b, levenshtein(x.n_name, y.n_name) AS d FROM nation x JOIN nation y ON x.n_name < y.n_name ORDER BY d, a, b LIMIT 10")
+same_sql("topk_pairs", "SELECT x.n_name AS a, y.n_name AS b, CAST(levenshtein(x.n_name, y.n_name) AS bigint) AS d FROM nation x JOIN nation y ON x.n_name < y.n_name ORDER BY d, a, b LIMIT 10")
 
 
 @query("topk_rules", "SELECT * FROM (SELECT law, colour, n, row_number() OVER (PARTITION BY law ORDER BY n DESC, colour) AS rn FROM (SELECT law, colour, count(*) AS n FROM part_code GROUP BY 1, 2) c) r WHERE rn <= 3")
 def topk_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Top three per group; the row_number filter becomes a group limit below the shuffle."""
     c = relation(spark, sf_dir, "part_code").groupBy("law", "colour").agg(F.count("*").alias("n"))
-    return c.withColumn("rn", F.row_number().over(W.partitionBy("law").orderBy(F.desc("n"), "colour"))).where("rn <= 3")
+    return c.withColumn("rn", F.row_number().over(W.partitionBy("law").orderBy(F.desc("n"), "colour"))).where("rn <= 3").withColumn("rn", F.col("rn").cast("long"))
 
 
 _SETS = "SELECT code FROM part_code WHERE p_size <= 30 {op} SELECT code FROM part_code WHERE p_size > 20"
@@ -217,7 +217,7 @@ same_sql("subquery_in", "SELECT p_partkey FROM part_code WHERE code IN (SELECT c
 def subquery_nn(spark: SparkSession, sf_dir: str) -> DataFrame:
     x, y = table(spark, sf_dir, "nation").alias("x"), table(spark, sf_dir, "nation").alias("y")
     near = x.join(y, (F.col("x.n_regionkey") == F.col("y.n_regionkey")) & (F.col("x.n_nationkey") != F.col("y.n_nationkey")))
-    return near.groupBy(F.col("x.n_name").alias("code")).agg(F.min(F.levenshtein("x.n_name", "y.n_name")).alias("nearest"))
+    return near.groupBy(F.col("x.n_name").alias("code")).agg(F.min(F.levenshtein("x.n_name", "y.n_name")).cast("long").alias("nearest"))
 
 
 @query("tree_path", "SELECT count(*) AS members, count(DISTINCT code) AS codes FROM (SELECT DISTINCT code FROM part_code) c")
@@ -235,7 +235,7 @@ def tree_path(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 same_sql(
     "char_profile",
-    "SELECT code, length(code) AS n, reverse(code) AS back, translate(code, '0123456789', '##########') AS masked, ascii(code) AS first_code, lpad(code, 10, '*') AS padded, instr(code, '-') AS dash, lower(code) AS low, substr(code, 2, 3) AS mid FROM part_code",
+    "SELECT code, CAST(length(code) AS bigint) AS n, reverse(code) AS back, translate(code, '0123456789', '##########') AS masked, ascii(code) AS first_code, lpad(code, 10, '*') AS padded, CAST(instr(code, '-') AS bigint) AS dash, lower(code) AS low, substr(code, 2, 3) AS mid FROM part_code",
 )
 
 
@@ -286,7 +286,7 @@ def map_functions_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 same_sql("math_functions", "SELECT p_partkey, greatest(p_size, 25) AS g, least(p_size, 25) AS l, abs(p_size - 25) AS d, round(log2(p_size), 6) AS lg, round(p_retailprice, 1) AS price FROM part")
-same_sql("date_functions", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, CAST(date_trunc('month', o_orderdate) AS timestamp) AS first_day FROM orders")
+same_sql("date_functions", "SELECT o_orderkey, CAST(year(o_orderdate) AS int) AS y, CAST(month(o_orderdate) AS int) AS m, CAST(date_trunc('month', o_orderdate) AS timestamp) AS first_day FROM orders")
 
 
 @query(
@@ -310,13 +310,13 @@ def udf_align(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs.select("a", "b", cost_udf(CharMetric.unit())("a", "b").alias("cost"))
 
 
-@query("udaf_spread", "SELECT length(n_name) AS n, CASE WHEN count(DISTINCT right(n_name, 1)) > 1 THEN 0.5 ELSE 0.0 END AS spread FROM nation GROUP BY 1")
+@query("udaf_spread", "SELECT length(n_name) AS n, CAST(CASE WHEN count(DISTINCT right(n_name, 1)) > 1 THEN 0.5 ELSE 0.0 END AS double) AS spread FROM nation GROUP BY 1")
 def udaf_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
     n = table(spark, sf_dir, "nation")
-    return n.select(F.length("n_name").alias("n"), F.right("n_name", F.lit(1)).alias("ch")).groupBy("n").agg(spread_agg(CharMetric.classes())("ch").alias("spread"))
+    return n.select(F.length("n_name").cast("long").alias("n"), F.right("n_name", F.lit(1)).alias("ch")).groupBy("n").agg(spread_agg(CharMetric.classes())("ch").alias("spread"))
 
 
-@query("udtf_align", "SELECT n_name AS code, p AS pos, CASE WHEN p < 8 THEN substr(n_name, p, 1) WHEN p = 8 THEN CASE WHEN length(n_name) = 9 THEN substr(n_name, 8, 1) END ELSE right(n_name, 1) END AS ch FROM nation, (SELECT unnest(range(1, 10)) AS p) q")
+@query("udtf_align", "SELECT n_name AS code, CAST(p AS int) AS pos, CASE WHEN p < 8 THEN substr(n_name, p, 1) WHEN p = 8 THEN CASE WHEN length(n_name) = 9 THEN substr(n_name, 8, 1) END ELSE right(n_name, 1) END AS ch FROM nation, (SELECT unnest(range(1, 10)) AS p) q")
 def udtf_align(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row per column of every name in the pattern of all names."""
     f = F.udtf(AlignColumns, returnType="pos int, ch string")
