@@ -69,4 +69,6 @@ def min_label_components(edges: DataFrame, scratch: Scratch, max_rounds: int = 6
         if before is not None and tuple(now) == before:
             break
         before = tuple(now)
+    else:
+        raise RuntimeError(f"components still change after {max_rounds} rounds")
     return cur.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(cur.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
