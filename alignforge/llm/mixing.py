@@ -3,7 +3,8 @@
 The budget is cut into equal slots. Slot i takes the golden-ratio point frac(offset + i * phi), which
 cumulative target shares map to a source; the slots of a source are ranked, and slot rank k takes the
 k-th equal-token block of that source's shuffled, repeated token stream. Any prefix of the schedule is
-within a few slots of the target mix.
+within a few slots of the target mix. Blocks grow with the corpus, so a source whose slots miss its target by more
+than TOLERANCE ends with a partial block: it gives its target's words exactly.
 
 Defined results: null or blank texts have size 0 and are taken 0 times; a null source is a source of
 its own, ordered last; no rows give no rows; repeated rows are each placed in the stream; extra columns
@@ -24,6 +25,8 @@ MAX_EPOCHS = 2
 N_SLOTS = 1 << 18
 GOLDEN = 0.6180339887498949
 CELLS = 1024
+#: Share of a source's target that whole blocks may miss; beyond it the last block is cut or added in part.
+TOLERANCE = 0.01
 
 
 def measured(docs: DataFrame) -> DataFrame:
@@ -103,14 +106,16 @@ def mix(docs: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
     """Per row: size, source_size, target, taken (words, repeats counted) and copies (whole documents).
 
     Ranks of a source's slots run from 0 without gaps, so the blocks it gives are those below its slot
-    count; a row's taken words are its overlap with them over at most MAX_EPOCHS passes of the stream.
+    count, the last one in part where whole blocks miss the target; a row's taken words are its overlap with them over at most MAX_EPOCHS passes of the stream.
     """
     scratch = Scratch(docs.sparkSession, "mix")
     rows = scratch.save(measured(docs), "rows")
     goals = scratch.save(targets(rows), "goals")
     blocks = schedule(goals, n_slots).groupBy(F.col("source").alias("b_source")).agg((F.count("*") * F.first("block_tokens")).alias("given"))
+    whole = F.coalesce("given", F.lit(0))
+    given = F.when(F.abs(whole - F.col("target")) > F.col("target") * TOLERANCE, F.round("target").cast("long")).otherwise(whole)
     plan = goals.join(blocks, F.col("source").eqNullSafe(F.col("b_source")), "left").select(
-        F.col("source").alias("g_source"), "source_size", "target", F.least(F.coalesce("given", F.lit(0)), F.col("source_size") * MAX_EPOCHS).alias("given")
+        F.col("source").alias("g_source"), "source_size", "target", F.least(given, F.col("source_size") * MAX_EPOCHS).alias("given")
     )
     joined = streamed(rows, plan)
     taken, copies = F.lit(0).cast("long"), F.lit(0)
