@@ -57,8 +57,8 @@ def law_keys(df: DataFrame) -> DataFrame:
     return df.groupBy("law").agg(F.min("code").alias("rep"), F.count_distinct("code").alias("card"))
 
 
-def law_rules(df: DataFrame, attrs: list[str], laws: tuple[int, ...], t: Thresholds = Thresholds(), **options) -> DataFrame:
-    found = discover(df, "code", attrs, tree_of(df, **options), t)
+def law_rules(df: DataFrame, attrs: list[str], laws: tuple[int, ...], t: Thresholds = Thresholds(), positions: int = 1, **options) -> DataFrame:
+    found = discover(df, "code", attrs, tree_of(df, **options), t, positions=positions)
     return found.join(law_keys(df).where(F.col("law").isin(*laws)), ["rep", "card"]).select("law", *FIGURES).withColumn("confidence", F.round("confidence", 6))
 
 
@@ -428,18 +428,54 @@ def independence_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return differing(on, off).agg((F.count("*") == 0).alias("same_tree")).crossJoin(worst(on, "x")).crossJoin(worst(off, "y")).select("same_tree", (F.col("x") <= F.col("y")).alias("not_more_refines_in_worst"))
 
 
+def law_chains(df: DataFrame) -> Tree:
+    """One growing template for the codes of each law: the laws' first characters differ."""
+    return learn_tree(block_by(dedupe(df), "prefix", length=1), algorithm="chain")
+
+
+def chain_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df = relation(spark, sf_dir, "part_code")
+    tree = law_chains(df)
+    rows = aligned_rows(spark, tree, tree.roots().select("rep", "card").join(law_keys(df), ["rep", "card"]).select("rep", "card"))
+    own = rows.join(law_keys(df), ["rep", "card"]).groupBy("law")
+    return own.agg(F.max("card").alias("root_card"), F.count_if(degap(F.col("aligned")) != F.col("code")).alias("mismatches"))
+
+
+def chain_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df = relation(spark, sf_dir, "part_code")
+    tree = law_chains(df)
+    roots = tree.roots().select("rep", "card").join(law_keys(df), ["rep", "card"])
+    return discover(df, "code", ["p_type", "colour"], tree, PAPER).join(roots, ["rep", "card"]).select("law", *FIGURES).withColumn("confidence", F.round("confidence", 6))
+
+
 @query("chain_part", "SELECT count(DISTINCT code) AS root_card, CAST(0 AS bigint) AS mismatches FROM part_code WHERE law = 2")
 def chain_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One growing template over the codes of one law."""
-    tree = tree_of(relation(spark, sf_dir, "part_code").where("law = 2"), algorithm="chain")
-    rows = aligned_rows(spark, tree, tree.roots().select("rep", "card"))
-    return rows.agg(F.max("card").alias("root_card"), F.count_if(degap(F.col("aligned")) != F.col("code")).alias("mismatches"))
+    return chain_sizes(spark, sf_dir).where("law = 2").drop("law")
+
+
+@query("chain_laws_part", "SELECT law, count(DISTINCT code) AS root_card, CAST(0 AS bigint) AS mismatches FROM part_code GROUP BY law")
+def chain_laws_part(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The growing templates of all laws."""
+    return chain_sizes(spark, sf_dir)
 
 
 @query("chain_rules_part", "WITH " + measured(law_claims("part_code", ["p_type", "colour"], 7, "law = 2"), "law, col_ix, attr") + f" SELECT {', '.join(FIGURES)} FROM found WHERE {passing(PAPER)}")
 def chain_rules_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Alignment without clustering: rules at the chain's root."""
-    return root_rules(relation(spark, sf_dir, "part_code").where("law = 2"), ["p_type", "colour"], PAPER, algorithm="chain")
+    return chain_rules(spark, sf_dir).where("law = 2").drop("law")
+
+
+@query("chain_rules_laws_part", "WITH " + measured(law_claims("part_code", ["p_type", "colour"], 7, "law > 0"), "law, col_ix, attr") + f" SELECT law, {', '.join(FIGURES)} FROM found WHERE {passing(PAPER)}")
+def chain_rules_laws_part(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same at the chains of both laws whose columns count from the left."""
+    return chain_rules(spark, sf_dir).where("law > 0")
+
+
+@query("chain_rules_part_law0", "WITH " + measured(_LAW0, "col_ix, attr") + f" SELECT 0 AS law, {', '.join(FIGURES)} FROM found WHERE {passing(PAPER)}")
+def chain_rules_part_law0(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """And of the law with a column that may be a gap."""
+    return chain_rules(spark, sf_dir).where("law = 0 and col_ix > 4")
 
 
 @query("prune_sound_part", "SELECT CAST(0 AS bigint) AS differing")
@@ -498,10 +534,27 @@ def rule_map_nation(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("two_positions_part", "WITH " + measured("SELECT '5,6' AS col_ix, 'shape' AS attr, substr(code, 5, 2) AS key, shape AS value, count(*) AS n FROM part_code WHERE law = 2 GROUP BY 3, 4", "col_ix, attr") + f" SELECT {', '.join(FIGURES)} FROM found")
 def two_positions_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two columns together decide the shape at the node of law 2."""
-    df = relation(spark, sf_dir, "part_code").where("law = 2")
-    tree = tree_of(df)
-    found = discover(df, "code", ["shape"], tree, positions=2).join(tree.roots().select("rep", "card"), ["rep", "card"])
-    return found.where("col_ix = '5,6'").select(*FIGURES).withColumn("confidence", F.round("confidence", 6))
+    return pair_rules(spark, sf_dir).where("law = 2 and attr = 'shape' and col_ix = '5,6'").drop("law")
+
+
+def pair_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two-column rules of the law nodes, learned on all part codes."""
+    return law_rules(relation(spark, sf_dir, "part_code"), ["p_brand", "p_size", "shape"], (0, 1, 2), positions=2)
+
+
+# brand digits, size digits and shape letters; a brand of one digit has a gap at column 3, which is no claim
+_PLANTED = (
+    "SELECT 0 AS law, '2,3' AS col_ix, 'p_brand' AS attr, substr(code, 2, 2) AS key, p_brand AS value, count(*) AS n FROM part_code WHERE law = 0 AND substr(code, 3, 1) <> '-' GROUP BY 4, 5 UNION ALL "
+    "SELECT 1, '5,6', 'p_size', substr(code, 5, 2), CAST(p_size AS varchar(9)), count(*) FROM part_code WHERE law = 1 GROUP BY 4, 5 UNION ALL "
+    "SELECT 2, '5,6', 'shape', substr(code, 5, 2), shape, count(*) FROM part_code WHERE law = 2 GROUP BY 4, 5"
+)
+
+
+@query("two_positions_laws_part", "WITH " + measured(_PLANTED, "law, col_ix, attr") + f" SELECT law, {', '.join(FIGURES)} FROM found WHERE {passing(PAPER)}")
+def two_positions_laws_part(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The planted two-column rules of all three laws."""
+    planted = "law = 0 and attr = 'p_brand' and col_ix = '2,3' or law = 1 and attr = 'p_size' and col_ix = '5,6' or law = 2 and attr = 'shape' and col_ix = '5,6'"
+    return pair_rules(spark, sf_dir).where(planted)
 
 
 def cleaned(df: DataFrame, attr: str = "p_type", laws: bool = True) -> tuple[Tree, DataFrame, DataFrame]:
