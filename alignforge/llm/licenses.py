@@ -1,9 +1,9 @@
 """Operator 9, native: license scan by ordered signature rules.
 
 A text becomes its lower-cased words joined by single spaces. Rules are regexes over that line, built
-from license names and the phrases that licenses are stated in; each has a keyword, a priority and a
-confidence. A document is matched only if it holds a gate word, and against a rule only if it holds the
-rule's keyword. A detection inside another one of the same or a higher priority is suppressed.
+from license names and the phrases that licenses are stated in; each has keywords, a priority and a
+confidence. A document is matched only if it holds a gate word, and against a rule only if it holds one
+of the rule's keywords. A detection inside another one of the same or a higher priority is suppressed.
 
 Everything is one projection per row: no shuffle, no join, no Python. Defined results: null and empty
 texts have no words and no labels; a document's repeated detections count once per label; repeated rows
@@ -21,7 +21,7 @@ SEPARATORS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 # The contract's base phrases and their labels.
 BASE = {"the mit license": "mit", "apache license version 2": "apache-2", "cc by nc": "cc-by-nc"}
 
-# Label, keyword, name as a regex over words, SPDX identifier as words.
+# Label, keyword (or one for each alternative), name as a regex over words, SPDX identifier as words.
 NAMES = (
     ("mit", "mit", r"mit", "mit"),
     ("mit-0", "mit", r"mit (?:0|no attribution)", "mit 0"),
@@ -41,7 +41,7 @@ NAMES = (
     ("bsd-2-clause", "bsd", r"(?:bsd 2 clause|2 clause bsd|simplified bsd|freebsd)", "bsd 2 clause"),
     ("bsd-3-clause", "bsd", r"(?:bsd 3 clause|3 clause bsd|new bsd|modified bsd|revised bsd)", "bsd 3 clause"),
     ("bsd-4-clause", "bsd", r"(?:bsd 4 clause|4 clause bsd|original bsd)", "bsd 4 clause"),
-    ("0bsd", "0bsd", r"(?:0bsd|zero clause bsd)", "0bsd"),
+    ("0bsd", ("0bsd", "zero clause"), r"(?:0bsd|zero clause bsd)", "0bsd"),
     ("bsd", "bsd", r"bsd(?: style)?", "bsd"),
     ("isc", "isc", r"isc", "isc"),
     ("zlib", "zlib", r"zlib(?: libpng)?", "zlib"),
@@ -68,11 +68,11 @@ NAMES = (
     ("wtfpl", "wtfpl", r"wtfpl", "wtfpl"),
     ("bsl-1.0", "boost", r"boost software", "bsl 1 0"),
     ("postgresql", "postgresql", r"postgresql", "postgresql"),
-    ("psf-2", "psf", r"(?:psf|python software foundation)", r"(?:psf|python) 2 0"),
+    ("psf-2", ("psf", "python software"), r"(?:psf|python software foundation)", r"(?:psf|python) 2 0"),
     ("ruby", "ruby", r"ruby", "ruby"),
     ("php-3", "php", r"php", r"php 3 0[01]?"),
     ("openssl", "openssl", r"openssl", "openssl"),
-    ("eupl-1.2", "eupl", r"(?:eupl|european union public)(?: licen[cs]e)?(?: v?1 2)?", "eupl 1 2"),
+    ("eupl-1.2", ("eupl", "european union"), r"(?:eupl|european union public)(?: licen[cs]e)?(?: v?1 2)?", "eupl 1 2"),
     ("odbl-1", "open database", r"open database", "odbl 1 0"),
     ("pddl-1", "public domain dedication", r"public domain dedication", "pddl 1 0"),
     ("ofl-1.1", "sil", r"sil open font", "ofl 1 1"),
@@ -130,20 +130,20 @@ PHRASES = (
 GATES = ("licen", " under ", "spdx", "cc by", "creativecommons", "apache org", "gnu org", "permission ", "redistribution and use", "public domain", "rights reserved", "commons clause", " terms", "copyright notice")
 
 
-def rules() -> list[tuple[int, float, str, str, str]]:
-    """(priority, confidence, label, keyword, regex) of every rule, in order."""
+def rules() -> list[tuple[int, float, str, tuple[str, ...], str]]:
+    """(priority, confidence, label, keywords, regex) of every rule, in order."""
     out = [(p, c, label, word, x) for label, word, p, c, x in PHRASES]
     for label, word, name, ident in NAMES:
         for p, c, phrase in STATED:
             keyword = "spdx" if "{id}" in phrase else word
             out.append((p, c, label, keyword, phrase.replace("{name}", f"(?:{name})").replace("{id}", f"(?:{ident})")))
-    return [(p, c, label, word, f"(?<![^ ])(?:{x})(?![^ ])") for p, c, label, word, x in out]
+    return [(p, c, label, (word,) if isinstance(word, str) else word, f"(?<![^ ])(?:{x})(?![^ ])") for p, c, label, word, x in out]
 
 
 def _rules_column() -> Column:
     return F.array(*[
-        F.struct(F.lit(p).alias("p"), F.lit(c).alias("c"), F.lit(label).alias("label"), F.lit(word).alias("word"), F.lit(x).alias("x"), F.lit(i).alias("i"))
-        for i, (p, c, label, word, x) in enumerate(rules())
+        F.struct(F.lit(p).alias("p"), F.lit(c).alias("c"), F.lit(label).alias("label"), F.array(*map(F.lit, words)).alias("words"), F.lit(x).alias("x"), F.lit(i).alias("i"))
+        for i, (p, c, label, words, x) in enumerate(rules())
     ])
 
 
@@ -198,7 +198,7 @@ def scan(docs: DataFrame) -> DataFrame:
     """One row per document: words, base places, and the labels that stand after suppression."""
     line = F.col("line")
     some = F.transform(
-        F.filter(_rules_column(), lambda r: F.contains(line, r["word"])),
+        F.filter(_rules_column(), lambda r: F.exists(r["words"], lambda w: F.contains(line, w))),
         lambda r: F.transform(_places(line, r["x"]), lambda m: F.struct(m["s"].alias("s"), (-m["e"]).alias("back"), (-r["p"]).alias("first"), r["i"].alias("i"), m["e"].alias("e"), r["p"].alias("p"), r["c"].alias("c"), r["label"].alias("label"))),
     )
     empty = F.array().cast("array<struct<w:bigint,label:string>>")

@@ -1,8 +1,9 @@
 """Cases that once were cut short."""
 
-import pytest
+from itertools import product
+from re import _parser
 
-from alignforge.llm import mixing
+from alignforge.llm import licenses, mixing
 
 
 def test_mix_serves_tiny_sources_beside_a_huge_one(spark):
@@ -16,3 +17,41 @@ def test_mix_serves_tiny_sources_beside_a_huge_one(spark):
     assert len(taken) == 101
     for source, (n, target) in taken.items():
         assert target > 0 and abs(n - target) <= max(0.01 * target, 1), (source, n, target)
+
+
+def spelled(regex):
+    """Every text that a regex without unbounded repeats matches; what it looks around at is left out."""
+
+    def parts(tokens):
+        return ["".join(x) for x in product(*map(one, tokens))]
+
+    def one(token):
+        kind, arg = str(token[0]), token[1]
+        if kind == "LITERAL":
+            return [chr(arg)]
+        if kind == "IN":
+            return [chr(k) for op, v in arg for k in ([v] if str(op) == "LITERAL" else range(v[0], v[1] + 1))]
+        if kind == "BRANCH":
+            return [x for b in arg[1] for x in parts(b)]
+        if kind == "SUBPATTERN":
+            return parts(arg[3])
+        if kind == "MAX_REPEAT":
+            return ([""] if arg[0] == 0 else []) + parts(arg[2])
+        return [""]
+
+    return parts(_parser.parse(regex))
+
+
+def test_every_license_alternative_passes_its_keyword_and_a_gate():
+    for _, _, label, words, regex in licenses.rules():
+        for text in spelled(regex):
+            line = f" {text} "
+            assert any(w in line for w in ([words] if isinstance(words, str) else words)), (label, words, text)
+            assert any(g in line for g in licenses.GATES), (label, text)
+
+
+def test_licenses_by_their_long_names(spark):
+    cases = [("released under the Python Software Foundation License", "psf-2"), ("European Union Public Licence", "eupl-1.2"), ("Zero-Clause BSD license", "0bsd"), ("PSF license", "psf-2"), ("0BSD license", "0bsd")]
+    df = spark.createDataFrame([(k, t) for k, (t, _) in enumerate(cases)], "doc_id long, text string")
+    got = {r["doc_id"]: r["labels"] for r in licenses.scan(df).collect()}
+    assert [got[k] for k in range(len(cases))] == [x for _, x in cases]
