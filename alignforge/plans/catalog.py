@@ -16,7 +16,8 @@ from ..operators.pattern import degap, render, to_display, to_regex
 from ..operators.rules import Thresholds, discover
 from ..operators.tree import pair_fuse
 from ..sources.codes import relation, sql, with_relations
-from ..sources.synth import coded_strings
+from ..sources.synth import DEFAULTS, coded_strings
+from .experiments import CLUSTERS, LENGTHS, NUMBERS, VARIATIONS
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -686,13 +687,13 @@ def cut_part(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # ------------------------------------------------------------------ generated codes
 
-SIZES = {"synth_len": ("l", (10, 12, 14, 16, 18, 20)), "synth_n": ("N", (50, 100, 200)), "synth_cn": ("CN", (10, 50, 100)), "synth_var": ("sigma", (0.01, 0.05, 0.1))}
+# numbers below 1000 are for unit tests
+SIZES = {"synth_len": ("l", LENGTHS), "synth_n": ("N", (50, 100, 200, *NUMBERS)), "synth_cn": ("CN", CLUSTERS), "synth_var": ("sigma", VARIATIONS)}
 
 
 def synthetic(spark: SparkSession, **options) -> DataFrame:
     """Counters of all three searches on generated codes."""
-    base = {"N": 200, "l": 20, "CN": 50, "sigma": 0.05, "seed": 42} | options
-    return compare_searches(dedupe(coded_strings(spark, **base))).select("method", "n", "fuse_evals", "refines")
+    return compare_searches(dedupe(coded_strings(spark, **(DEFAULTS | options)))).select("method", "n", "fuse_evals", "refines")
 
 
 for _group, (_option, _values) in SIZES.items():
