@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,6 +20,23 @@ WORD_RE = r"[^\x20\x09-\x0D]+"
 BATCH_ROWS, BATCH_BYTES = 500, 4 << 20
 
 
+@contextmanager
+def lean_batches(spark: SparkSession) -> Iterator[None]:
+    """Holds the session's Arrow batch limits at what rows of long texts need while an action runs, then restores them.
+
+    Results don't depend on them. Frames that are returned unexecuted run under the caller's own limits.
+    """
+    keys = {"spark.sql.execution.arrow.maxRecordsPerBatch": BATCH_ROWS, "spark.sql.execution.arrow.maxBytesPerBatch": BATCH_BYTES}
+    before = {k: spark.conf.get(k) for k in keys}
+    for k, v in keys.items():
+        spark.conf.set(k, str(v))
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
 def small_batches(spark: SparkSession) -> None:
     """Lowers the session's Arrow batch limits to what rows of long texts need; results don't depend on them."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
@@ -34,6 +54,18 @@ def word_count(text: Column) -> Column:
     return F.when(text.isNull() | (bare == ""), F.lit(0)).otherwise(F.size(F.split(bare, f"{SPACE_CLASS}+"))).cast("long")
 
 
+def row_hash(df: DataFrame) -> Column:
+    """A hash of all columns, equal for equal rows; a map counts by its sorted entries, a nested one by its JSON."""
+
+    def plain(name: str, kind: str) -> Column:
+        own = df[f"`{name}`"]
+        if kind.startswith("map<"):
+            return F.to_json(F.array_sort(F.map_entries(own)))
+        return F.to_json(F.struct(own)) if "map<" in kind else own
+
+    return F.xxhash64(*[plain(*c) for c in df.dtypes])
+
+
 _UPPER = {c: c + 32 for c in range(65, 91)}
 
 

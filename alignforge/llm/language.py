@@ -18,13 +18,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import lean_batches
 
 DIM = 512
 SEED = 20_211
 #: Expected training rows per language at most; they are drawn by a hash of doc_id.
 FIT_ROWS = 4000
-#: Trigram vectors a worker keeps before it starts anew.
+#: Trigram vectors a worker keeps before it starts anew, one byte an element: 20 MB at most, as workers outlive tasks.
 BOOK = 40_000
 UND = "und"
 
@@ -62,12 +62,12 @@ class Codebook:
 
     def clear(self) -> None:
         self.at: dict[int, int] = {}
-        self.rows = np.empty((1024, self.dim), np.float32)
+        self.rows = np.empty((1024, self.dim), np.int8)
 
     def _of(self, code: int) -> np.ndarray:
         if code not in self.letter:
             bits = np.random.Generator(np.random.PCG64([self.seed, code])).integers(0, 2, self.dim)
-            self.letter[code] = (2 * bits - 1).astype(np.float32)
+            self.letter[code] = (2 * bits - 1).astype(np.int8)
         return self.letter[code]
 
     def lookup(self, grams: np.ndarray) -> np.ndarray:
@@ -75,7 +75,7 @@ class Codebook:
             self.clear()
         need = len(self.at) + len(grams)
         if need > len(self.rows):
-            self.rows = np.concatenate((self.rows, np.empty((max(need, 2 * len(self.rows)) - len(self.rows), self.dim), np.float32)))
+            self.rows = np.concatenate((self.rows, np.empty((max(need, min(2 * len(self.rows), BOOK)) - len(self.rows), self.dim), np.int8)))
         out = np.empty(len(grams), np.int64)
         for i, g in enumerate(grams.tolist()):
             k = self.at.get(g)
@@ -92,9 +92,9 @@ class Codebook:
             return None
         grams, counts = found
         total = np.zeros(self.dim, np.float32)
-        for lo in range(0, len(grams), 8192):  # long texts in pieces
-            rows = self.lookup(grams[lo : lo + 8192])
-            total += counts[lo : lo + 8192].astype(np.float32) @ self.rows[rows]
+        for lo in range(0, len(grams), 2048):  # long texts in pieces
+            rows = self.lookup(grams[lo : lo + 2048])
+            total += counts[lo : lo + 2048].astype(np.float32) @ self.rows[rows].astype(np.float32)
         return total
 
 
@@ -120,7 +120,6 @@ def learn(docs: DataFrame, fit_rows: int = FIT_ROWS) -> dict[str, np.ndarray]:
     Language counts cover all rows; each language then keeps about fit_rows of its rows by hash. Partial
     bundles are summed per language and dimension on the executors, so languages x DIM numbers come back.
     """
-    small_batches(docs.sparkSession)
     rows = training_split(docs).where("not held_out and lang is not null and doc_id is not null and text is not null")
     share = {r["lang"]: fit_rows / r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # one row a language
     if not share:
@@ -141,7 +140,9 @@ def learn(docs: DataFrame, fit_rows: int = FIT_ROWS) -> dict[str, np.ndarray]:
 
     parts = picked.select("text", "lang").mapInArrow(partial, "lang string, dim int, x double")
     protos: dict[str, np.ndarray] = {}
-    for r in parts.groupBy("lang", "dim").agg(F.sum("x").alias("x")).collect():
+    with lean_batches(docs.sparkSession):
+        sums = parts.groupBy("lang", "dim").agg(F.sum("x").alias("x")).collect()  # languages x DIM rows
+    for r in sums:
         protos.setdefault(r["lang"], np.zeros(DIM))[r["dim"]] = r["x"]
     return {k: v / np.linalg.norm(v) for k, v in sorted(protos.items()) if np.linalg.norm(v) > 0}
 

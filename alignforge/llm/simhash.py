@@ -27,10 +27,9 @@ import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import min_label_components, Scratch, small_batches
+from .common import Scratch, lean_batches, min_label_components, row_hash
 
 SHINGLE = 4
 BUDGET = 4
@@ -51,26 +50,27 @@ def fingerprint(text: str | None) -> int:
     if n <= SHINGLE:
         return xxhash.xxh64_intdigest(joined, SEED)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
-    starts = np.concatenate(([0], ends[: n - SHINGLE] + 1)).tolist()
+    starts, last = np.concatenate(([0], ends[: n - SHINGLE] + 1)), ends[SHINGLE - 1 :]
+    del words
     digest, seed = xxhash.xxh64_intdigest, SEED
     ones, total = np.zeros(64, np.int64), n - SHINGLE + 1
-    last = ends[SHINGLE - 1 :].tolist()
-    for lo in range(0, total, 1 << 16):
-        h = np.fromiter((digest(joined[a:b], seed) for a, b in zip(starts[lo : lo + (1 << 16)], last[lo : lo + (1 << 16)])), np.uint64)
+    for lo in range(0, total, 1 << 14):
+        part = slice(lo, lo + (1 << 14))
+        h = np.fromiter((digest(joined[a:b], seed) for a, b in zip(starts[part].tolist(), last[part].tolist())), np.uint64)
         ones += np.unpackbits(h.view(np.uint8), bitorder="little").reshape(-1, 64).sum(axis=0, dtype=np.int64)
     return int((np.uint64(1) << np.flatnonzero(2 * ones > total).astype(np.uint64)).sum(dtype=np.uint64))
 
 
-def fingerprints(docs: DataFrame) -> DataFrame:
-    """doc_id and signed fp of every row; one scan, no shuffle."""
-    small_batches(docs.sparkSession)
+def fingerprints(docs: DataFrame, rows: bool = False) -> DataFrame:
+    """doc_id and signed fp of every row, and row, where asked a hash of all its columns; one scan, no shuffle."""
+    row = row_hash(docs) if rows else F.lit(None).cast("long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fp = np.fromiter((fingerprint(t.as_py()) for t in batch.column("text")), np.uint64, batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(fp.view(np.int64)), batch.column("row")], ["doc_id", "fp", "row"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, fp long")
+    return docs.select("doc_id", "text", row.alias("row")).mapInArrow(run, f"doc_id {dict(docs.dtypes)['doc_id']}, fp long, row long")
 
 
 class Walk:
@@ -249,16 +249,17 @@ def trie_links(distinct: DataFrame, scratch: Scratch, chunk: int = CHUNK, budget
     return dealt.groupBy("task").applyInPandas(walk, "u long, v long")
 
 
-def components(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
-    """doc_id, fp, component_id, and first_of_group (the doc_id is the component's smallest)."""
+def components(docs: DataFrame, chunk: int = CHUNK, rows: bool = False) -> DataFrame:
+    """doc_id, fp, row (see fingerprints) and component_id of every row; texts go no further than the fingerprints."""
     scratch = Scratch(docs.sparkSession, "simhash")
-    prints = scratch.save(fingerprints(docs), "prints")
+    with lean_batches(docs.sparkSession):
+        prints = scratch.save(fingerprints(docs, rows), "prints")
     distinct = scratch.save(prints.groupBy("fp").agg(F.min("doc_id").alias("low")), "distinct")
     roots = min_label_components(trie_links(distinct.select("fp"), scratch, chunk), scratch)
     rooted = scratch.save(distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "low", F.coalesce("root", "fp").alias("root")), "rooted")
     lows = rooted.groupBy("root").agg(F.min("low").alias("component_id"))
     named = rooted.join(lows, "root").select("fp", "component_id")
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    return prints.join(named, "fp").select("doc_id", "fp", "row", "component_id")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -267,12 +268,18 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def keep_one_each(docs: DataFrame) -> DataFrame:
-    """All columns of one document per component, that with the smallest doc_id; of repeated rows one.
+    """All columns of one document per component, that with the smallest doc_id; of rows that repeat it, the one with the smallest row hash.
 
-    Rows without a doc_id can't be told apart by it: they all stay.
+    Everything is decided on (doc_id, row hash). Texts move once, to a hash join that sorts none of them; only
+    doc_ids that several rows carry take a second way. Rows without a doc_id can't be told apart by it: they all stay.
     """
-    kept = components(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__kept_id")).distinct()
-    named = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi")
-    order = [F.col(c) for c, kind in docs.dtypes if c != "doc_id" and not kind.startswith("map")]
-    first = named.withColumn("__row_in_doc", F.row_number().over(W.partitionBy("doc_id").orderBy(*(order or [F.col("doc_id")])))).where("__row_in_doc = 1").drop("__row_in_doc")
-    return first.unionByName(docs.where("doc_id is null"))
+    scratch = Scratch(docs.sparkSession, "keep")
+    chosen = components(docs, rows=True).where("doc_id = component_id").groupBy("doc_id").agg(F.min("row").alias("low"), F.count("*").alias("n"))
+    chosen = scratch.save(chosen.withColumnRenamed("doc_id", "kept"), "chosen")
+    once, again = (chosen.where(c).hint("shuffle_hash") for c in ("n = 1", "n > 1"))
+    out = docs.join(once, docs["doc_id"] == once["kept"], "left_semi").unionByName(docs.where(docs["doc_id"].isNull()))
+    if again.isEmpty():
+        return out
+    # equal hashes are equal rows, so it does not matter which of them a partial aggregate keeps
+    repeated = docs.join(again, (docs["doc_id"] == again["kept"]) & (row_hash(docs) == again["low"]), "left_semi")
+    return out.unionByName(repeated.dropDuplicates(["doc_id"]))
