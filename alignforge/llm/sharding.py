@@ -5,6 +5,9 @@ size says which shard owns which slot. The first version of the map places slots
 the least loaded shard; later versions are edits of the one before, which move only the slots that a
 rebalancing needs. Only the map ever changes, never a row's virtual slot.
 
+Rows that agree in doc_id, crc and size are counted before they are shuffled, and placed in runs of RUN: each
+run hashes on its own, so a row that makes up a third of the table is spread over all slots.
+
 Defined results: a null or empty text has size 1 and crc 0; a null doc_id hashes like any other value;
 an empty table gives no rows; repeated rows are all placed; extra columns are ignored. Ties of load go
 to the smaller shard, ties of slot bytes to the smaller slot.
@@ -16,20 +19,30 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .common import Scratch
+
 N_SLOTS = 4096
+#: Equal rows that stay together in one virtual slot.
+RUN = 64
 
 
 def sized(docs: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
-    """doc_id, size, text_crc32 and virtual slot; text itself goes no further."""
+    """doc_id, size, text_crc32, copies, run and virtual slot: one row per run of at most RUN equal rows; text goes no further."""
     body = F.encode(F.coalesce(F.col("text"), F.lit("")), "UTF-8")
-    return docs.select("doc_id", (F.octet_length(body) + 1).cast("long").alias("size"), F.crc32(body).alias("text_crc32")).withColumn(
-        "virtual_slot", F.pmod(F.xxhash64("doc_id", "text_crc32", "size"), F.lit(n_slots)).cast("int")
-    )
+    rows = docs.select("doc_id", (F.octet_length(body) + 1).cast("long").alias("size"), F.crc32(body).alias("text_crc32"))
+    same = rows.groupBy("doc_id", "text_crc32", "size").agg(F.count("*").alias("n"))
+    upto = lambda n: F.sequence(F.lit(0).cast("long"), n)
+    # two steps, so that no array grows with a group
+    stride = RUN << 16
+    far = same.withColumn("far", F.explode(upto(F.expr(f"(n - 1) div {stride}"))))
+    runs = far.withColumn("near", F.explode(upto(F.expr(f"(least(n - far * {stride}, {stride}) - 1) div {RUN}")))).withColumn("run", F.col("far") * (1 << 16) + F.col("near"))
+    salted = F.when(F.col("run") == 0, F.xxhash64("doc_id", "text_crc32", "size")).otherwise(F.xxhash64("doc_id", "text_crc32", "size", "run"))
+    return runs.select("doc_id", "size", "text_crc32", F.least(F.lit(RUN).cast("long"), F.col("n") - F.col("run") * RUN).alias("copies"), "run", F.pmod(salted, F.lit(n_slots)).cast("int").alias("virtual_slot"))
 
 
 def slot_bytes(rows: DataFrame) -> DataFrame:
     """Bytes and rows per virtual slot: n_slots rows at most, summed on the map side first."""
-    return rows.groupBy("virtual_slot").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows"))
+    return rows.groupBy("virtual_slot").agg(F.sum(F.col("size") * F.col("copies")).alias("bytes"), F.sum("copies").alias("rows"))
 
 
 def _least(loads: Column) -> Column:
@@ -108,15 +121,17 @@ def shard_rows(docs: DataFrame, n_shards: int = 8, n_slots: int = N_SLOTS, slot_
     """Every row with its virtual slot, shard and gapless position within the shard.
 
     The map (n_slots rows at most) is broadcast. A row's position is its rank within the virtual slot
-    plus the rows of the shard's earlier slots, so no window spans a whole shard.
+    plus the rows of the shard's earlier slots, so no window spans a whole shard. Texts are read once.
     """
-    rows = sized(docs, n_slots)
+    rows = Scratch(docs.sparkSession, "shards").save(sized(docs, n_slots), "sized")
     slots = slot_bytes(rows)
     owner = (slot_map if slot_map is not None else first_map(slots, n_shards)).select("virtual_slot", "shard")
     w = W.partitionBy("shard").orderBy("virtual_slot").rowsBetween(W.unboundedPreceding, -1)
     placed = slots.join(F.broadcast(owner), "virtual_slot").select("virtual_slot", "shard", F.coalesce(F.sum("rows").over(w), F.lit(0)).alias("before"))
-    rank = F.row_number().over(W.partitionBy("virtual_slot").orderBy("doc_id", "text_crc32", "size"))
-    return rows.withColumn("rank", rank).join(F.broadcast(placed), "virtual_slot").select(
+    ahead = W.partitionBy("virtual_slot").orderBy("doc_id", "text_crc32", "size", "run").rowsBetween(W.unboundedPreceding, -1)
+    each = rows.withColumn("rank", F.coalesce(F.sum("copies").over(ahead), F.lit(0))).join(F.broadcast(placed), "virtual_slot")
+    each = each.withColumn("k", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)))  # RUN at most
+    return each.select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard",
-        (F.col("before") + F.col("rank") - 1).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "virtual_slot",
+        (F.col("before") + F.col("rank") + F.col("k")).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "virtual_slot",
     )
