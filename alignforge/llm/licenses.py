@@ -2,8 +2,12 @@
 
 A text becomes its lower-cased words joined by single spaces. Rules are regexes over that line, built
 from license names and the phrases that licenses are stated in; each has keywords, a priority and a
-confidence. A document is matched only if it holds a gate word, and against a rule only if it holds one
-of the rule's keywords. A detection inside another one of the same or a higher priority is suppressed.
+confidence. A detection inside another one of the same or a higher priority is suppressed.
+
+No rule matches more than REACH words, so a line is read in cores of CORE words with margins that hold
+whatever a detection that starts in the core can touch. A core is screened by gate words and by one regex of
+all rules; what passes, each text of a core once, meets the rules whose keywords it holds. Work and memory
+are linear in the text, however many detections are in it.
 
 Everything is one projection per row: no shuffle, no join, no Python. Defined results: null and empty
 texts have no words and no labels; a document's repeated detections count once per label; repeated rows
@@ -13,9 +17,14 @@ comes first.
 
 from __future__ import annotations
 
+import json
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+#: Words of a core, and most words that any rule matches.
+CORE, REACH = 64, 24
 SEPARATORS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 # The contract's base phrases and their labels.
@@ -140,15 +149,19 @@ def rules() -> list[tuple[int, float, str, tuple[str, ...], str]]:
     return [(p, c, label, (word,) if isinstance(word, str) else word, f"(?<![^ ])(?:{x})(?![^ ])") for p, c, label, word, x in out]
 
 
+def screen() -> str:
+    """One regex that matches wherever some rule does."""
+    return "(?<![^ ])(?:" + "|".join(dict.fromkeys(x.removeprefix("(?<![^ ])").removesuffix("(?![^ ])") for *_, x in rules())) + ")(?![^ ])"
+
+
 def _rules_column() -> Column:
-    return F.array(*[
-        F.struct(F.lit(p).alias("p"), F.lit(c).alias("c"), F.lit(label).alias("label"), F.array(*map(F.lit, words)).alias("words"), F.lit(x).alias("x"), F.lit(i).alias("i"))
-        for i, (p, c, label, words, x) in enumerate(rules())
-    ])
+    """The rules as one constant; the optimizer folds it."""
+    rows = [{"p": p, "c": c, "label": label, "words": words, "x": x, "i": i} for i, (p, c, label, words, x) in enumerate(rules())]
+    return F.from_json(F.lit(json.dumps(rows)), "array<struct<p:int,c:double,label:string,words:array<string>,x:string,i:int>>")
 
 
 def _places(line: Column, regex: Column) -> Column:
-    """(s, e) of all matches in order, 0-based code points: the pieces between matches tell where they stand."""
+    """(s, e) of all matches in a core, in order, 0-based code points: the pieces between matches tell where they stand."""
     hits, gaps = F.regexp_extract_all(line, regex, F.lit(0)), F.split(line, regex)
     walked = F.aggregate(
         F.arrays_zip(hits.alias("hit"), F.slice(gaps, 1, F.greatest(F.size(hits), F.lit(1))).alias("gap")),
@@ -162,8 +175,8 @@ def _places(line: Column, regex: Column) -> Column:
     return F.when(F.size(hits) > 0, walked).otherwise(F.array().cast("array<struct<s:int,e:int>>"))
 
 
-def _kept(found: Column) -> Column:
-    """Labels and best confidence of the detections that no other one suppresses.
+def _kept(found: Column, lo: Column, hi: Column) -> Column:
+    """Labels and best confidence of the detections that start from lo to below hi and that no other one suppresses.
 
     Detections come by start, longest first, so one is contained exactly if the furthest end seen so far
     among its priority or higher reaches its own end.
@@ -172,7 +185,7 @@ def _kept(found: Column) -> Column:
     state = F.struct(F.array_repeat(F.lit(-1), top).alias("reach"), F.array().cast("array<string>").alias("labels"), F.lit(0.0).alias("score"))
 
     def step(s: Column, d: Column) -> Column:
-        inside = F.element_at(s["reach"], d["p"]) >= d["e"]
+        inside = (F.element_at(s["reach"], d["p"]) >= d["e"]) | (d["s"] < lo) | (d["s"] >= hi)
         return F.struct(
             F.transform(s["reach"], lambda r, k: F.when(k < d["p"], F.greatest(r, d["e"])).otherwise(r)).alias("reach"),
             F.when(inside, s["labels"]).otherwise(F.array_union(s["labels"], F.array(d["label"]))).alias("labels"),
@@ -194,29 +207,56 @@ def lined(docs: DataFrame) -> DataFrame:
     return low.select("doc_id", "n_words", F.when(open_, F.translate("words", upper, upper.lower())).alias("line"))
 
 
-def scan(docs: DataFrame) -> DataFrame:
-    """One row per document: words, base places, and the labels that stand after suppression."""
-    line = F.col("line")
+def _cores(words: Column) -> Column:
+    """(text, lo, hi) of the screened cores: the words of a core with their margins, and where in the text a core's own words are."""
+    at = F.transform(F.sequence(F.lit(0), F.floor((F.size(words) - 1) / CORE).cast("int")), lambda k: k * CORE)
+
+    def cut(k: Column) -> Column:
+        before = F.array_join(F.slice(words, F.greatest(F.lit(1), k + 1 - REACH), F.least(k, F.lit(REACH))), " ")
+        own = F.array_join(F.slice(words, k + 1, F.lit(CORE)), " ")
+        after = F.array_join(F.slice(words, k + 1 + CORE, F.lit(2 * REACH)), " ")
+        lo = F.when(k > 0, F.length(before) + 1).otherwise(0)
+        return F.struct(F.concat(F.when(k > 0, F.concat(before, F.lit(" "))).otherwise(F.lit("")), F.rtrim(F.concat_ws(" ", own, after))).alias("text"), lo.alias("lo"), (lo + F.length(own)).alias("hi"))
+
+    def passes(c: Column) -> Column:
+        text = F.concat(F.lit(" "), c["text"], F.lit(" "))
+        return reduce(lambda a, b: a | b, [F.contains(text, F.lit(g)) for g in GATES]) & F.rlike(c["text"], F.lit(screen()))
+
+    return F.array_distinct(F.filter(F.transform(at, cut), passes))
+
+
+def _judged(core: Column) -> Column:
+    """Labels and best confidence of one core."""
     some = F.transform(
-        F.filter(_rules_column(), lambda r: F.exists(r["words"], lambda w: F.contains(line, w))),
-        lambda r: F.transform(_places(line, r["x"]), lambda m: F.struct(m["s"].alias("s"), (-m["e"]).alias("back"), (-r["p"]).alias("first"), r["i"].alias("i"), m["e"].alias("e"), r["p"].alias("p"), r["c"].alias("c"), r["label"].alias("label"))),
+        F.filter(_rules_column(), lambda r: F.exists(r["words"], lambda w: F.contains(core["text"], w))),
+        lambda r: F.transform(_places(core["text"], r["x"]), lambda m: F.struct(m["s"].alias("s"), (-m["e"]).alias("back"), (-r["p"]).alias("first"), r["i"].alias("i"), m["e"].alias("e"), r["p"].alias("p"), r["c"].alias("c"), r["label"].alias("label"))),
     )
-    empty = F.array().cast("array<struct<w:bigint,label:string>>")
+    return _kept(F.array_sort(F.flatten(some)), core["lo"], core["hi"])
 
-    def places(phrase: str, label: str) -> Column:
-        def word_at(m: Column) -> Column:
-            ahead = F.substring(line, F.lit(1), m["s"])
-            return F.struct((F.length(ahead) - F.length(F.replace(ahead, F.lit(" "), F.lit("")))).cast("long").alias("w"), F.lit(label).alias("label"))
 
-        return F.when(F.contains(line, F.lit(phrase)), F.transform(_places(line, F.lit(f"(?<![^ ]){phrase}(?![^ ])")), word_at)).otherwise(empty)
+def _base(line: Column, phrase: str, label: str) -> Column:
+    """(n, first, last, label) of a base phrase: its places and the word numbers of the outermost. The phrases can't overlap themselves."""
+    spaces = lambda x: (F.octet_length(x) - F.octet_length(F.replace(x, F.lit(" "), F.lit("")))).cast("long")
+    regex = f"(?<![^ ]){phrase}(?![^ ])"
+    n = F.regexp_count(line, F.lit(regex)).cast("long")
+    first = spaces(F.substring(line, F.lit(1), F.regexp_instr(line, F.lit(regex)) - 1))
+    last = spaces(line) - len(phrase.split()) + 1 - spaces(F.regexp_extract(line, f"(?s)^.*(?<![^ ]){phrase}(?![^ ])(.*)$", 1))
+    found = F.struct(n.alias("n"), first.alias("first"), last.alias("last"), F.lit(label).alias("label"))
+    return F.when(F.contains(line, F.lit(phrase)) & (n > 0), F.array(found)).otherwise(F.array().cast("array<struct<n:bigint,first:bigint,last:bigint,label:string>>"))
 
-    base = F.flatten(F.array(*[places(phrase, label) for phrase, label in BASE.items()]))
-    rows = lined(docs).select("doc_id", "n_words", F.when(line.isNotNull(), base).alias("base"), F.when(line.isNotNull(), F.array_sort(F.flatten(some))).alias("found"))
-    rows = rows.select("doc_id", "n_words", F.coalesce("base", empty).alias("base"), F.when(F.size("found") > 0, _kept(F.col("found"))).alias("kept"))
-    base_labels = F.array_sort(F.array_distinct(F.col("base.label")))
-    labels = F.array_sort(F.array_union(base_labels, F.coalesce("kept.labels", F.array().cast("array<string>"))))
+
+def scan(docs: DataFrame) -> DataFrame:
+    """One row per document: words, base places, and the labels that stand after suppression."""
+    line = F.col("line")
+    rows = lined(docs).select("doc_id", "n_words", F.concat(*[_base(line, *x) for x in BASE.items()]).alias("base"), F.split(line, " ").alias("words"))
+    # words is a column of its own, as a lambda works out anew for each element what it does not get as one
+    rows = rows.select("doc_id", "n_words", "base", _cores(F.col("words")).alias("cores"))
+    rows = rows.select("doc_id", "n_words", "base", F.when(F.size("cores") > 0, F.transform("cores", _judged)).alias("kept"))
+    base_labels = F.array_sort(F.coalesce(F.col("base.label"), F.array().cast("array<string>")))
+    labels = F.array_sort(F.array_union(base_labels, F.coalesce(F.flatten("kept.labels"), F.array().cast("array<string>"))))
     return rows.select(
-        "doc_id", "n_words", F.size("base").cast("long").alias("n_base"), F.array_min("base.w").alias("first_word"), F.array_max("base.w").alias("last_word"),
+        "doc_id", "n_words", F.coalesce(F.aggregate("base.n", F.lit(0).cast("long"), lambda a, x: a + x), F.lit(0).cast("long")).alias("n_base"),
+        F.array_min("base.first").alias("first_word"), F.array_max("base.last").alias("last_word"),
         F.array_join(base_labels, ",").alias("base_labels"), F.array_join(labels, ",").alias("labels"),
-        F.greatest(F.coalesce("kept.score", F.lit(0.0)), F.when(F.size("base") > 0, F.lit(0.9)).otherwise(F.lit(0.0))).alias("score"),
+        F.greatest(F.coalesce(F.array_max("kept.score"), F.lit(0.0)), F.when(F.size("base") > 0, F.lit(0.9)).otherwise(F.lit(0.0))).alias("score"),
     )
