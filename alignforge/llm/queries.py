@@ -9,7 +9,7 @@ from . import cotrain, licenses, pii, warc
 from .common import table
 from .decontaminate import leaks
 from .language import identify
-from .mixing import CELLS, GOLDEN, MAX_EPOCHS, N_SLOTS, SHARE, mix
+from .mixing import GOLDEN, MAX_EPOCHS, N_SLOTS, SHARE, TOLERANCE, mix
 from .sharding import shard_rows
 from .simhash import near_duplicates
 from .topk import top_k
@@ -95,18 +95,22 @@ spans AS (
 edges AS (
   SELECT source, b, budget, coalesce(lag(hi) OVER (ORDER BY k), 0) AS lo, CASE WHEN k = n THEN 2.0 ELSE hi END AS hi FROM spans),
 points AS (SELECT range AS slot, range * {GOLDEN}::DOUBLE + 0.5 - floor(range * {GOLDEN}::DOUBLE + 0.5) AS u FROM range({N_SLOTS})),
-blocks AS (
-  SELECT e.source, count(*) * any_value(b) AS given FROM points p JOIN edges e ON p.u >= e.lo AND p.u < e.hi
-  WHERE p.slot < ceil(e.budget / e.b) GROUP BY e.source),
+ranks AS (
+  SELECT e.source, b, p.slot, row_number() OVER (PARTITION BY e.source ORDER BY p.slot) - 1 AS block FROM points p JOIN edges e ON p.u >= e.lo AND p.u < e.hi
+  WHERE p.slot < ceil(e.budget / e.b)),
+blocks AS (SELECT source, count(*) * any_value(b) AS given FROM ranks GROUP BY source),
 plan AS (
-  SELECT g.source, source_size, target, least(coalesce(given, 0), source_size * {MAX_EPOCHS}) AS given
+  SELECT g.source, source_size, target, greatest(1, ceil(budget / {N_SLOTS}))::BIGINT AS b,
+         least(CASE WHEN abs(coalesce(given, 0) - target) > target * {TOLERANCE} THEN round(target)::BIGINT ELSE coalesce(given, 0) END, source_size * {MAX_EPOCHS})::BIGINT AS given
   FROM goals g LEFT JOIN blocks b ON g.source IS NOT DISTINCT FROM b.source),
 placed AS (
   SELECT *, coalesce(sum(size) OVER (PARTITION BY source ORDER BY key, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS start FROM rows)
 SELECT p.doc_id, p.source, p.size, q.source_size, q.target,
        (greatest(0, least(size, given - start)) + greatest(0, least(size, given - start - source_size)))::BIGINT AS taken,
-       ((given > start + size // 2)::INT + (given > start + source_size + size // 2)::INT)::INT AS copies
+       ((given > start + size // 2)::INT + (given > start + source_size + size // 2)::INT)::INT AS copies,
+       CASE WHEN given > start THEN coalesce(r.slot, {N_SLOTS}) END::BIGINT AS slot
 FROM placed p JOIN plan q ON p.source IS NOT DISTINCT FROM q.source
+LEFT JOIN ranks r ON r.source IS NOT DISTINCT FROM p.source AND r.block = start // q.b
 """
 
 OP10_SQL = """
