@@ -1,9 +1,10 @@
 """Operator 4: WARC writing, external merge of the capture index, and reading back.
 
 Every task writes one run: its captures sorted by URL key and timestamp, as gzip members of a WARC
-archive, and their index lines in the same order. The runs' indexes are then merged: key ranges are cut
-over all entries, and each range pulls its slice of every run through a loser tree, so the index is in
-global order without a run ever being sorted again. The merged index tells which byte ranges to read.
+archive, and their index lines in the same order. The runs' indexes are then merged: key ranges of about
+RANGE entries are cut over all of them, however many there are, and each range pulls its slice of every run
+through a loser tree, so the index is in global order without a run ever being sorted again. The merged
+index tells which byte ranges to read.
 
 Of equal payloads of at least 100 bytes, the smallest page_id is the response and the others revisit it.
 Defined results: a null html is an empty payload, a null url an empty key; a row without page_id may
@@ -18,15 +19,20 @@ import hashlib
 import zlib
 from collections.abc import Iterator
 from datetime import datetime, timedelta, timezone
+from math import ceil
 
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, small_batches
+from .common import Scratch, lean_batches
 
 SMALL = 100
+#: Rows of one digest beyond which it is looked up in a broadcast, and most such digests that are broadcast.
+HOT, HOT_MOST = 2_000, 100_000
+#: Index entries that one range of the merge holds.
+RANGE = 50_000
 EPOCH = datetime(2020, 1, 1, tzinfo=timezone.utc)
 #: Compressed bytes that one reading task takes from an archive.
 SEGMENT = 8 << 20
@@ -42,12 +48,27 @@ def url_key(url: Column) -> Column:
 
 
 def decided(pages: DataFrame) -> DataFrame:
-    """page_id, url, payload, digest, refers_to (null for a response). Minima are pre-aggregated; html moves once, by digest."""
+    """page_id, url, payload, digest, refers_to (null for a response). Minima are pre-aggregated; html moves once.
+
+    Payloads under SMALL bytes look nothing up. Digests of more than HOT rows, of which there are at most rows / HOT,
+    are looked up in a broadcast as long as that is bounded; both kinds are dealt by row, the others by digest.
+    """
     body = F.encode(F.coalesce("html", F.lit("")), "UTF-8")
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", body.alias("payload"), F.sha2(body, 256).alias("digest"))
-    first = rows.where(F.octet_length("payload") >= SMALL).groupBy("digest").agg(F.min("page_id").alias("first_id"))
-    same = F.col("first_id").isNull() | F.coalesce(F.col("page_id") == F.col("first_id"), F.lit(False)) | (F.octet_length("payload") < SMALL)
-    return rows.join(first, "digest", "left").select("page_id", "url", "payload", "digest", F.when(same, F.lit(None)).otherwise(F.col("first_id")).alias("refers_to"))
+    per = rows.where(F.octet_length("payload") >= SMALL).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
+    per = Scratch(pages.sparkSession, "digests").save(per.where("n > 1"), "digests")
+    hot = per.where(F.col("n") > HOT).select(F.col("digest").alias("h_digest"), F.col("first_id").alias("h_first"))
+    few = hot.count() <= HOT_MOST
+    if few:
+        rows = rows.join(F.broadcast(hot), F.col("digest") == F.col("h_digest"), "left")
+    else:
+        rows = rows.withColumn("h_digest", F.lit(None).cast("string")).withColumn("h_first", F.lit(None).cast("long"))
+    alone = (F.octet_length("payload") < SMALL) | F.col("h_digest").isNotNull()
+    rows = rows.withColumn("deal", F.when(alone, F.concat(F.lit("row "), F.xxhash64("page_id", "url").cast("string"))).otherwise(F.col("digest")))
+    seen = per.where(F.col("n") <= HOT if few else F.lit(True)).select(F.col("digest").alias("s_digest"), "first_id")
+    first = F.coalesce("h_first", "first_id")
+    same = first.isNull() | F.coalesce(F.col("page_id") == first, F.lit(False))
+    return rows.join(seen.hint("shuffle_hash"), F.col("deal") == F.col("s_digest"), "left").select("page_id", "url", "payload", "digest", F.when(same, F.lit(None)).otherwise(first).alias("refers_to"))
 
 
 def record(page_id: int | None, url: str | None, payload: bytes, digest: str, refers_to: int | None, date: str) -> bytes:
@@ -87,22 +108,20 @@ def _files(root: str):
 def write_runs(pages: DataFrame, root: str) -> DataFrame:
     """Writes one archive per task and returns the index entries (INDEX), each run in its own order.
 
-    An attempt writes under a name of its own and renames it when complete, so a retry or a lost executor
-    leaves no half archive under the final name.
+    Every attempt writes an archive of its own name and only its own index lines name it, so a retry, a second
+    attempt or a lost executor can't change bytes that other lines point to. archive() removes what no line names.
     """
-    small_batches(pages.sparkSession)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, base = _files(root)
         task = TaskContext.get()
-        run, name = task.partitionId(), f"run-{task.partitionId():06d}.warc.gz"
+        run, name = task.partitionId(), f"run-{task.partitionId():06d}-{task.taskAttemptId()}.warc.gz"
         lines, out, offset, seq = [], None, 0, 0
-        draft = f"{base}/.{name}.{task.taskAttemptId()}"
         for batch in batches:
             for page, url, payload, digest, refers, key, ts in zip(*(c.to_pylist() for c in batch.columns)):
                 if out is None:
                     store.create_dir(base, recursive=True)
-                    out = store.open_output_stream(draft)
+                    out = store.open_output_stream(f"{base}/{name}", compression=None)  # the members are packed already
                 date = (EPOCH + timedelta(seconds=(page or 0) % (1 << 32))).strftime("%Y-%m-%dT%H:%M:%SZ")
                 pack = zlib.compressobj(LEVEL, zlib.DEFLATED, 31)
                 data = pack.compress(record(page, url, payload, digest, refers, date)) + pack.flush()
@@ -114,13 +133,12 @@ def write_runs(pages: DataFrame, root: str) -> DataFrame:
                     lines = []
         if out is not None:
             out.close()
-            store.move(draft, f"{base}/{name}")
         if lines:
             yield _lines(lines)
 
     ts = F.lpad(F.pmod(F.coalesce("page_id", F.lit(0)), F.lit(1 << 32)).cast("string"), 10, "0")
     rows = decided(pages).select("page_id", "url", "payload", "digest", "refers_to", url_key(F.col("url")).alias("url_key"), ts.alias("ts"))
-    return rows.sortWithinPartitions("url_key", "ts", "page_id").mapInArrow(write, INDEX)
+    return rows.sortWithinPartitions("url_key", "ts", "page_id", "digest", "url").mapInArrow(write, INDEX)
 
 
 def _lines(lines: list[tuple]) -> pa.RecordBatch:
@@ -163,10 +181,10 @@ class LoserTree:
 
 
 def merge_runs(entries: DataFrame, ranges: int) -> DataFrame:
-    """Entries in global order of (url_key, ts, page_id): partition by partition, row by row.
+    """Entries in global order of (url_key, ts, page_id, run, seq): partition by partition, row by row.
 
     Range cuts are Spark's; inside a range, rows are put by (run, seq), which restores each run's own
-    order, and the runs are merged by a loser tree. page_id is in the key, so one frequent URL is cut too.
+    order, and the runs are merged by a loser tree. run and seq are in the key, so what repeats one is cut too.
     """
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -187,11 +205,11 @@ def merge_runs(entries: DataFrame, ranges: int) -> DataFrame:
             yield _lines(done)
         assert schema is None or len(schema) == 9
 
-    cut = entries.repartitionByRange(ranges, "url_key", "ts", F.coalesce("page_id", F.lit(-1)))
+    cut = entries.repartitionByRange(ranges, "url_key", "ts", F.coalesce("page_id", F.lit(-1)), "run", "seq")
     return cut.sortWithinPartitions("run", "seq").mapInArrow(merge, INDEX)
 
 
-def read_back(index: DataFrame, root: str) -> DataFrame:
+def read_back(index: DataFrame, root: str, tasks: int) -> DataFrame:
     """Reads every record that the index names: page_id, payload_bytes, payload_digest, record_type, refers_to.
 
     Entries are grouped to byte ranges of at most about SEGMENT bytes; a task streams one range at a time.
@@ -222,20 +240,40 @@ def read_back(index: DataFrame, root: str) -> DataFrame:
                     )
 
     parts = index.groupBy("file", F.floor(F.col("offset") / SEGMENT).alias("part")).agg(F.min("offset").alias("start"), F.max(F.col("offset") + F.col("length")).alias("stop"))
-    n = index.sparkSession.conf.get("spark.sql.shuffle.partitions")
-    spread = parts.select("file", "start", "stop").repartition(int(n), "file", "start")
+    spread = parts.select("file", "start", "stop").repartition(tasks, "file", "start")
     return spread.mapInArrow(read, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
 def archive(pages: DataFrame, root: str | None = None) -> tuple[DataFrame, str]:
     """Writes the archives and the merged index below root; returns the index and the archives' folder."""
-    scratch = Scratch(pages.sparkSession, "warc")
+    spark, scratch = pages.sparkSession, Scratch(pages.sparkSession, "warc")
     root = root or scratch.path("archives")
-    runs = scratch.save(write_runs(pages, root), "runs")
-    ranges = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return scratch.save(merge_runs(runs, ranges), "index"), root
+    with lean_batches(spark):
+        runs = scratch.save(write_runs(pages, root), "runs")
+    _sweep(spark, runs, root)
+    index = scratch.save(merge_runs(runs, _at_least(spark, runs.count() / RANGE)), "index")
+    scratch.drop("runs")
+    return index, root
+
+
+def _at_least(spark: SparkSession, wanted: float) -> int:
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), ceil(wanted))
+
+
+def _sweep(spark: SparkSession, runs: DataFrame, root: str) -> None:
+    """Removes archives of attempts whose lines were not kept; file names are one a task."""
+    folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(root)
+    store = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not store.exists(folder):
+        return
+    named = {r["file"] for r in runs.select("file").distinct().toLocalIterator()}
+    for entry in store.listStatus(folder):
+        if entry.getPath().getName() not in named:
+            store.delete(entry.getPath(), False)
 
 
 def round_trip(pages: DataFrame) -> DataFrame:
     """One row per page, as read from the archives."""
-    return read_back(*archive(pages))
+    index, root = archive(pages)
+    size = index.agg(F.sum("length")).first()[0] or 0
+    return read_back(index, root, _at_least(pages.sparkSession, size / (4 * SEGMENT)))
