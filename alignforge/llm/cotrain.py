@@ -21,9 +21,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Scratch, small_batches
+from .common import Scratch, lean_batches
 
 HASHED = 96
 SHAPE = 14
@@ -34,8 +35,8 @@ FIT_ROWS = 8000
 #: One labelled row in so many is kept out of fitting and used for calibration.
 CALIBRATE = 4
 ROUNDS = 4
-#: Rows of either class that a view hands over in a round.
-HANDED = 40
+#: Rows of either class that a view hands over in a round: this share of the unlabelled ones, within these limits. Equal pairs of views count once.
+HANDED_SHARE, HANDED_LEAST, HANDED_MOST = 0.002, 40, 500
 #: Lowest score that is kept; low, as clean short texts score near the middle.
 KEEP = 0.3
 
@@ -83,7 +84,6 @@ def meta_view(lang: str | None, source: str | None, n_chars: int | None) -> np.n
 
 def featured(docs: DataFrame) -> DataFrame:
     """doc_id, h (a row hash) and both views of every row as binaries of fixed size; one scan."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -142,37 +142,36 @@ class Views:
 
 
 def _confident(features: DataFrame, w: dict[str, np.ndarray], handed: int) -> dict[tuple[str, int], list]:
-    """For each view and class, the rows of all unlabelled ones that it is surest of.
+    """For each view and class, the rows of all unlabelled ones that it is surest of, equal pairs of views once.
 
-    Batches keep their best; a partial top-k on every task and a final one leave `handed` rows.
+    One pass: batches keep their best, a partial group limit on every task and a final one leave `handed` rows.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if not batch.num_rows:
-                continue
             h = batch.column("h").to_numpy()
+            raw = np.array([a + b for a, b in zip(batch.column("text_view").to_pylist(), batch.column("meta_view").to_pylist())], f"S{TEXT + META}")  # of one length, so the cut of trailing zeros tells no two apart
+            order = np.argsort(h, kind="stable")
+            once = order[np.sort(np.unique(raw[order], return_index=True)[1])]  # of equal rows that with the smallest h
             for view, width in (("text", TEXT), ("meta", META)):
-                m = margin(_matrix(batch.column(f"{view}_view"), width), w[view])
+                m = margin(_matrix(batch.column(f"{view}_view"), width)[once], w[view])
                 for side in (1, 0):
-                    best = np.lexsort((h, -m if side else m))[:handed]
-                    rows = batch.take(pa.array(best))
+                    best = np.lexsort((h[once], -m if side else m))[:handed]
+                    rows = batch.take(pa.array(once[best]))
                     sure = m[best] if side else -m[best]
                     yield pa.RecordBatch.from_arrays([pa.array([view] * len(best)), pa.array([side] * len(best), pa.int32()), pa.array(sure), rows.column("h"), rows.column("text_view"), rows.column("meta_view")], ["view", "side", "sure", "h", "text_view", "meta_view"])
 
     tops = features.where("quality is null").select("h", "text_view", "meta_view").mapInArrow(run, "view string, side int, sure double, h long, text_view binary, meta_view binary")
-    best = None
-    for view in ("text", "meta"):
-        for side in (1, 0):
-            own = tops.where((F.col("view") == view) & (F.col("side") == side)).orderBy(F.desc("sure"), "h", "text_view", "meta_view").limit(handed)
-            best = own if best is None else best.unionByName(own)
+    once = tops.groupBy("view", "side", "text_view", "meta_view").agg(F.max("sure").alias("sure"), F.min("h").alias("h"))
+    order = W.partitionBy("view", "side").orderBy(F.desc("sure"), "h", "text_view", "meta_view")
+    best = once.withColumn("at", F.row_number().over(order)).where(F.col("at") <= handed)
     out: dict[tuple[str, int], list] = {}
     for r in best.collect():  # 4 x handed rows
         out.setdefault((r["view"], r["side"]), []).append(r)
-    return out
+    return {k: sorted(v, key=lambda r: r["at"]) for k, v in sorted(out.items())}
 
 
-def learn(features: DataFrame, rounds: int = ROUNDS, handed: int = HANDED) -> Views | None:
+def learn(features: DataFrame, rounds: int = ROUNDS, handed: int | None = None) -> Views | None:
     """Co-trains both views on the labelled rows of the feature table; None without both classes."""
     seed = features.where("quality is not null").select("h", "quality", "text_view", "meta_view").toPandas()  # about FIT_ROWS rows, see labelled()
     seed = seed.sort_values("h", ignore_index=True)
@@ -185,6 +184,8 @@ def learn(features: DataFrame, rounds: int = ROUNDS, handed: int = HANDED) -> Vi
     model = lambda v: fit(*(np.concatenate(c) for c in zip(*train[v])))
     w = {v: model(v) for v in x}
     rate = np.array([1 - y.mean(), y.mean()])
+    if handed is None:
+        handed = min(HANDED_MOST, max(HANDED_LEAST, int(HANDED_SHARE * features.where("quality is null").count())))
     for _ in range(rounds):
         for (view, side), rows in _confident(features, w, handed).items():
             other = "meta" if view == "text" else "text"
@@ -224,7 +225,8 @@ def labelled(features: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -
 def score(docs: DataFrame, labels: DataFrame, keep: float = KEEP) -> DataFrame:
     """doc_id, text_score, meta_score, score and keep of every document."""
     scratch = Scratch(docs.sparkSession, "cotrain")
-    features = scratch.save(labelled(featured(docs), labels), "features")
+    with lean_batches(docs.sparkSession):
+        features = scratch.save(labelled(featured(docs), labels), "features")
     views = learn(features)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
