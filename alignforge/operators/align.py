@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from functools import lru_cache
 from itertools import product
+from statistics import median
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -21,7 +22,7 @@ NODES = (
     "right_rep string, right_card long, left_map array<int>, right_map array<int>, pattern string, regex string, round int, "
     "counters map<string,long>, refine_hist map<int,long>"
 )
-#: Codes that one block may have for a tree on one worker; beyond it, round_fuse or a finer blocking.
+#: Codes that one block may have for a tree on one worker; larger blocks are fused in rounds.
 MAX_BLOCK = 8000
 
 
@@ -85,15 +86,18 @@ class Tree:
         held = self.nodes.select("block", F.explode(F.array(F.struct("left_rep", "left_card"), F.struct(F.col("right_rep").alias("left_rep"), F.col("right_card").alias("left_card")))).alias("x"))
         return self.all.join(held.select("block", F.col("x.left_rep").alias("rep"), F.col("x.left_card").alias("card")), ["block", "rep", "card"], "left_anti")
 
-    def members(self, min_card: int = 1, min_weight: int = 1) -> DataFrame:
-        """(block, rep, card, code, aligned) of every node of at least so many codes and tuples; maps are composed per block."""
+    def members(self, min_card: int = 1, min_weight: int = 1, only: DataFrame | None = None) -> DataFrame:
+        """(block, rep, card, code, aligned) of every node of at least so many codes and tuples; maps are composed per block.
+
+        only: nodes (block, rep, card) to expand; no other is. A chain-like tree of n codes has n^2/2 rows without it.
+        """
         kept = ["block", "rep", "card", "weight", "n_cols", "left_rep", "left_card", "right_rep", "right_card", "left_map", "right_map"]
 
         def spread_out(pdf: pd.DataFrame) -> pd.DataFrame:
             nodes = {(r.rep, r.card): r for r in pdf.itertuples()}
             out = []
             for key, node in nodes.items():
-                if node.card < min_card or node.weight < min_weight:
+                if not node.wanted or node.card < min_card or node.weight < min_weight:
                     continue
                 stack = [(key, list(range(1, node.n_cols + 1)))]
                 while stack:
@@ -106,7 +110,9 @@ class Tree:
                         stack.append(((x.right_rep, int(x.right_card)), [int(x.right_map[k - 1]) if k else 0 for k in at]))
             return pd.DataFrame(out, columns=["block", "rep", "card", "code", "aligned"])
 
-        return self.all.select(*kept).groupBy("block").applyInPandas(spread_out, "block string, rep string, card long, code string, aligned array<string>")
+        key = ["block", "rep", "card"]
+        marked = self.all.select(*kept).withColumn("wanted", F.lit(True)) if only is None else self.all.select(*kept).join(only.select(*key).distinct().withColumn("found", F.lit(True)), key, "left").withColumn("wanted", F.col("found").isNotNull()).drop("found")
+        return marked.groupBy("block").applyInPandas(spread_out, "block string, rep string, card long, code string, aligned array<string>")
 
     def path(self) -> DataFrame:
         """(block, rep, card, up_rep, up_card): every node's parent."""
@@ -130,11 +136,13 @@ class Tree:
 
 def learn_tree(
     codes: DataFrame, metric: CharMetric | None = None, algorithm: str = "bounded", profile: str = "star+inherit", independence: bool = True,
-    tie: str = "gap_late", lower: str = "zero", max_cost: float | None = None, max_block: int = MAX_BLOCK,
+    tie: str = "gap_late", lower: str = "profile", max_cost: float | None = None, max_block: int = MAX_BLOCK, finish: int | None = None,
 ) -> Tree:
     """Learns one tree per block; blocks are the unit of work, and the result is kept in the shared folder.
 
-    algorithm: 'pair', 'chain', 'bounded' (with profile 'star' or 'star+inherit') or 'rounds'.
+    algorithm: 'pair', 'chain', 'bounded' (with profile 'star' or 'star+inherit') or 'rounds'. Blocks of more than
+    max_block codes are fused in rounds by the bounded search, which gives the same tree; finish: templates of a block
+    that a worker may take over from the rounds.
     """
     metric = metric or CharMetric.classes()
     if "block" not in codes.columns:
@@ -142,18 +150,26 @@ def learn_tree(
     if "weight" not in codes.columns:
         codes = codes.withColumn("weight", F.lit(1).cast("long"))
     scratch = Scratch(codes.sparkSession, "tree")
-    if algorithm == "rounds":
-        from .rounds import round_fuse
-
-        return Tree(round_fuse(codes, metric, tie, None if max_cost is None else int(2 * max_cost), scratch), metric, tie)
     limit = None if max_cost is None else int(2 * max_cost)
+    from .rounds import FINISH, round_fuse
+
+    in_rounds = lambda some: round_fuse(some, metric, tie, limit, scratch, FINISH if finish is None else finish)
+    if algorithm == "rounds":
+        return Tree(in_rounds(codes), metric, tie)
+    large = None
+    if algorithm == "bounded" and metric.kind == "diameter":
+        codes = scratch.save(codes.select("block", "code", "weight"), "codes")
+        over = codes.groupBy("block").agg(F.count("*").alias("n")).where(F.col("n") > max_block).select("block")
+        if not over.isEmpty():
+            over = scratch.save(over, "over")
+            large, codes = codes.join(over, "block", "left_semi"), codes.join(over, "block", "left_anti")
     options = {"tie": tie, "max_cost": limit}
     if algorithm == "bounded":
         options |= {"profile": profile, "independence": independence, "lower": lower}
 
     def grow(pdf: pd.DataFrame) -> pd.DataFrame:
         if len(pdf) > max_block:
-            raise ValueError(f"block {pdf['block'].iloc[0]!r} has {len(pdf)} codes; over {max_block} use algorithm='rounds' or a finer blocking")
+            raise ValueError(f"block {pdf['block'].iloc[0]!r} has {len(pdf)} codes; over {max_block} only the bounded search goes on, in rounds")
         fused = T.run(pdf["code"].tolist(), metric, algorithm, pdf["weight"].tolist(), **options)
         rows = list(_rows(pdf["block"].iloc[0], fused))
         out = pd.DataFrame(rows, columns=[c.split(" ")[0] for c in NODES.replace(", ", ",").replace("map<string,long>", "x").replace("map<int,long>", "x").split(",")])
@@ -163,16 +179,17 @@ def learn_tree(
             out[c] = out[c].astype("Int64")
         return out
 
-    return Tree(scratch.save(codes.select("block", "code", "weight").groupBy("block").applyInPandas(grow, NODES), "nodes"), metric, tie)
+    grown = scratch.save(codes.select("block", "code", "weight").groupBy("block").applyInPandas(grow, NODES), "grown")
+    return Tree(grown if large is None else grown.unionByName(in_rounds(large)), metric, tie)
 
 
-SEARCHES = {"pair": {"algorithm": "pair"}, "bounded_star": {"algorithm": "bounded", "profile": "star"}, "bounded_inherit": {"algorithm": "bounded", "profile": "star+inherit"}}
+SEARCHES = {"pair": {"algorithm": "pair"}, "bounded_star": {"algorithm": "bounded", "profile": "star"}, "bounded_inherit": {"algorithm": "bounded", "profile": "star+inherit"}, "bounded_profile": {"algorithm": "bounded", "profile": "star+inherit", "lower": "profile"}}
 
 
-def compare_searches(codes: DataFrame, metric: CharMetric | None = None, tie: str = "gap_late", searches: tuple[str, ...] = tuple(SEARCHES)) -> DataFrame:
+def compare_searches(codes: DataFrame, metric: CharMetric | None = None, tie: str = "gap_late", searches: tuple[str, ...] = tuple(SEARCHES), repeats: int = 1) -> DataFrame:
     """(method, block, n, fuse_evals, fuse_done, refines, tightenings, wall_ms, refine_hist): one task per block and search.
 
-    Only figures come back, no nodes.
+    Only figures come back, no nodes. wall_ms is the median of the repeats, which run one after the other.
     """
     metric = metric or CharMetric.classes()
     if "block" not in codes.columns:
@@ -180,9 +197,9 @@ def compare_searches(codes: DataFrame, metric: CharMetric | None = None, tie: st
     each = codes.select("block", "code", "weight", F.explode(F.array(*[F.lit(s) for s in searches])).alias("method"))
 
     def measure(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        fused = T.run(pdf["code"].tolist(), metric, weights=pdf["weight"].tolist(), **{"tie": tie, **SEARCHES[key[0]]})
-        c = fused.counters
-        row = (key[0], key[1], c["n"], c["fuse_evals"], c["fuse_done"], c["refines"], c["tightenings"], c["wall_ms"], dict(fused.refine_hist))
+        runs = [T.run(pdf["code"].tolist(), metric, weights=pdf["weight"].tolist(), **{"tie": tie, **SEARCHES[key[0]]}) for _ in range(repeats)]
+        c = runs[0].counters
+        row = (key[0], key[1], c["n"], c["fuse_evals"], c["fuse_done"], c["refines"], c["tightenings"], int(median(x.counters["wall_ms"] for x in runs)), dict(runs[0].refine_hist))
         return pd.DataFrame([row], columns=["method", "block", "n", "fuse_evals", "fuse_done", "refines", "tightenings", "wall_ms", "refine_hist"])
 
     schema = "method string, block string, n long, fuse_evals long, fuse_done long, refines long, tightenings long, wall_ms long, refine_hist map<int,long>"

@@ -11,32 +11,46 @@ from collections import Counter
 
 import numpy as np
 
+from .kernel import Pool, Template
 from .metric import CharMetric
 from .tree import FAR, Fused, counters, join, start
 
-OFF = FAR + 1  # dead slots and the diagonal
+#: Costs below this, and sums of two, fit half words.
+SMALL = 6_000
 
 
 class Bounds:
     """Intervals [lb, ub] of all pairs of slots, with each slot's best partner by upper bound kept up to date."""
 
-    def __init__(self, n: int, cheap: np.ndarray | None = None):
-        self.lb = np.zeros((n, n), np.int32) if cheap is None else cheap.astype(np.int32)
-        self.ub = np.full((n, n), FAR, np.int32)
-        np.fill_diagonal(self.lb, OFF)
-        np.fill_diagonal(self.ub, OFF)
+    def __init__(self, n: int, low: np.ndarray | None = None, high: np.ndarray | None = None):
+        first = max((int(x.max(initial=0)) for x in (low, high) if x is not None), default=0)
+        self.kind, self.far = (np.int16, 20_000) if first < SMALL else (np.int32, FAR)
+        self.off = self.far + 1  # dead slots and the diagonal
+        self.lb = np.zeros((n, n), self.kind) if low is None else low.astype(self.kind)
+        self.ub = np.full((n, n), self.far, self.kind) if high is None else high.astype(self.kind)
+        np.fill_diagonal(self.lb, self.off)
+        np.fill_diagonal(self.ub, self.off)
         self.live = np.ones(n, bool)
-        self.best, self.arg = np.full(n, OFF, np.int32), np.zeros(n, np.int64)
+        self.best, self.arg = np.full(n, self.off, self.kind), np.zeros(n, np.int64)
         self.evals = self.refines = self.tightenings = 0
         self.rescan(np.arange(n))
 
+    def room_for(self, cost: int) -> None:
+        """Half words hold costs below SMALL and sums of two; the first dearer one moves all to whole words."""
+        if cost >= SMALL and self.far < FAR:
+            for name in ("lb", "ub", "best"):
+                m = getattr(self, name).astype(np.int32)
+                m[m >= self.far] += FAR - self.far
+                setattr(self, name, m)
+            self.kind, self.far, self.off = np.int32, FAR, FAR + 1
+
     def rescan(self, rows: np.ndarray) -> None:
         if len(rows):
             self.best[rows], self.arg[rows] = self.ub[rows].min(axis=1), self.ub[rows].argmin(axis=1)
 
     def best_upper(self) -> tuple[int, int]:
         """The pair that sorts first by (ub, rep, rep)."""
-        a = int(np.where(self.live, self.best, OFF).argmin())
+        a = int(np.where(self.live, self.best, self.off).argmin())
         b = int(self.arg[a])
         return min(a, b), max(a, b)
 
@@ -65,7 +79,7 @@ class Bounds:
         """The template whose critical intervals are widest in sum (endless ones count first), and all involved."""
         n = len(self.live)
         wide = self.ub[pairs[:, 0], pairs[:, 1]].astype(np.int64) - self.lb[pairs[:, 0], pairs[:, 1]]
-        endless = self.ub[pairs[:, 0], pairs[:, 1]] >= FAR
+        endless = self.ub[pairs[:, 0], pairs[:, 1]] >= self.far
         many, score = np.zeros(n, np.int64), np.zeros(n, np.int64)
         for side in (0, 1):
             np.add.at(many, pairs[:, side], endless)
@@ -82,31 +96,37 @@ class Bounds:
         ask = rest[self.lb[pivot, rest] != self.ub[pivot, rest]]
         cost = pool.star(pool.items[pivot], ask)
         self.evals += len(ask)
+        self.room_for(int(cost.max(initial=0)))
         for m in (self.lb, self.ub):
             m[pivot, ask] = cost
             m[ask, pivot] = cost
-        exact, grid = self.lb[pivot, rest].astype(np.int32), np.ix_(rest, rest)
-        low = np.maximum(self.lb[grid], np.abs(exact[:, None] - exact[None, :]))
-        high = np.minimum(self.ub[grid], exact[:, None] + exact[None, :])
-        np.fill_diagonal(low, OFF)
-        np.fill_diagonal(high, OFF)
-        self.lb[grid], self.ub[grid] = low, high
-        self.tightenings += len(rest) * (len(rest) - 1) // 2
+        exact = self.lb[pivot, rest]
+        changed, height = 0, max(1, (1 << 17) // max(1, len(rest)))
+        for at in range(0, len(rest), height):  # some rows at a time, so that what is gathered stays small
+            grid = np.ix_(rest[at : at + height], rest)
+            had, top, e = self.lb[grid], self.ub[grid], exact[at : at + height, None]
+            low, high = np.maximum(had, np.abs(e - exact)), np.minimum(top, e + exact)
+            own = np.arange(len(had))
+            low[own, own + at], high[own, own + at] = self.off, self.off
+            changed += int(np.count_nonzero((low != had) | (high != top)))
+            self.lb[grid], self.ub[grid] = low, high
+        self.tightenings += changed // 2  # either order of a pair
         self.refines += 1
         self.rescan(members)
 
     def inherit(self, a: int, b: int, cost: int) -> tuple[np.ndarray, np.ndarray]:
         """Bounds of the fused template from those of its parts."""
-        low = np.maximum(np.maximum(self.lb[a], self.lb[b]), cost)
-        return low, np.minimum(np.minimum(self.ub[a], self.ub[b]) + cost, FAR)
+        self.room_for(cost)
+        low = np.maximum(np.maximum(self.lb[a], self.lb[b]), self.kind(cost))
+        return low, np.minimum(np.minimum(self.ub[a], self.ub[b]) + self.kind(cost), self.far)
 
     def replace(self, a: int, b: int, low: np.ndarray, high: np.ndarray) -> None:
         """Slot a holds the fused template from now on, slot b none."""
         self.live[b] = False
-        low[a] = high[a] = OFF
-        low[~self.live], high[~self.live] = OFF, OFF
+        low[a] = high[a] = self.off
+        low[~self.live], high[~self.live] = self.off, self.off
         self.lb[a], self.lb[:, a], self.ub[a], self.ub[:, a] = low, low, high, high
-        self.lb[b], self.lb[:, b], self.ub[b], self.ub[:, b] = OFF, OFF, OFF, OFF
+        self.lb[b] = self.lb[:, b] = self.ub[b] = self.ub[:, b] = self.off
         stale = self.live & ((self.arg == a) | (self.arg == b))
         stale[a] = True
         self.rescan(np.flatnonzero(stale))
@@ -117,20 +137,30 @@ class Bounds:
 
 def bounded_fuse(
     codes: list[str], metric: CharMetric, weights: list[int] | None = None, tie: str = "gap_late", max_cost: int | None = None,
-    profile: str = "star+inherit", independence: bool = True, lower: str = "zero",
+    profile: str = "star+inherit", independence: bool = True, lower: str = "zero", templates: list[Template] | None = None,
 ) -> Fused:
     """The tree of pairwise fusing from intervals.
 
     profile 'star': a fused template's pairs start anew at [0, FAR); 'star+inherit': they take over what its
-    parts' pairs imply. lower 'cheap': pairs start at the gap cost of their length difference instead of 0.
-    The best pair and the critical set are found anew after every star.
+    parts' pairs imply. lower 'cheap': pairs start at the gap cost of their length difference instead of 0;
+    'profile': pairs of codes start from Pool.intervals(), which aligns nothing.
+    The best pair and the critical set are found anew after every star. templates: goes on from these, whose nodes
+    are known elsewhere, instead of codes.
     """
     if metric.kind != "diameter":
         raise ValueError("bounds hold for diameter spreads only")
     began = time.perf_counter()
-    pool, nodes = start(codes, weights, metric)
+    if templates is None:
+        pool, nodes = start(codes, weights, metric)
+    else:
+        pool, nodes, lower = Pool(sorted(templates, key=lambda t: t.rep), metric), [], "zero"
     n = len(pool.items)
-    bounds = Bounds(n, np.abs(pool.length[:, None] - pool.length[None, :]) * metric.gap if lower == "cheap" and metric.packed else None)
+    low = high = None
+    if lower == "profile" and metric.packed and n:
+        low, high = pool.intervals()
+    elif lower == "cheap" and metric.packed:
+        low = np.abs(pool.length[:, None] - pool.length[None, :]) * metric.gap
+    bounds = Bounds(n, low, high)
     hist: Counter[int] = Counter()
     for _ in range(n - 1):
         stars = 0
@@ -149,7 +179,7 @@ def bounded_fuse(
         if max_cost is not None and t.spread > max_cost:
             nodes.pop()
             break
-        fresh = np.zeros(n, np.int32), np.full(n, FAR, np.int32)
+        fresh = np.zeros(n, bounds.kind), np.full(n, bounds.far, bounds.kind)
         bounds.replace(a, b, *(bounds.inherit(a, b, t.spread) if profile == "star+inherit" else fresh))
-    name = "bounded_inherit" if profile == "star+inherit" else "bounded_star"
+    name = ("bounded_profile" if lower == "profile" else "bounded_inherit") if profile == "star+inherit" else "bounded_star"
     return Fused(nodes, counters(name, n, int(bounds.evals), nodes, bounds.refines, bounds.tightenings, began), dict(hist))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -17,18 +17,21 @@ from .pattern import key_of
 def code_keys(codes: DataFrame, rules: DataFrame, tree: Tree, members: DataFrame | None = None) -> DataFrame:
     """(code, block, rep, card, col_ix, attr, key) of every rule that applies to a code.
 
-    Members of a rule's node bring their alignment with them. Other codes are first joined with the
-    patterns they match, by length range and regex, and laid out in the template's columns.
+    Members of a rule's node bring their alignment with them. Other codes meet the templates of which they may have
+    the length and the first character in an equi join, then those whose regex they match, and are laid out in the
+    template's columns.
     """
-    # the catalog of rules is small and broadcast only where Spark's size check allows
-    known = members if members is not None else tree.members(min_card=2)
+    known = members if members is not None else tree.members(only=rules.select("block", "rep", "card"))
     own = known.join(rules.select("block", "rep", "card", "col_ix", "attr"), ["block", "rep", "card"]).withColumn("key", F.expr("aligned[col_ix - 1]")).where("key is not null")
     own = own.join(codes.select("code").distinct(), "code", "left_semi").select("code", "block", "rep", "card", "col_ix", "attr", "key")
     other = codes.select("code").distinct().join(tree.all.where("card = 1").select(F.col("rep").alias("code")), "code", "left_anti")
     nodes = tree.all.join(rules.select("block", "rep", "card").distinct(), ["block", "rep", "card"], "left_semi").select(
         "block", "rep", "card", "regex", "cols", "n_cols", F.size(F.filter("cols", lambda c: ~F.exists(c, lambda x: x.isNull()))).alias("least")
     )
-    hits = other.join(nodes, F.length("code").between(F.col("least"), F.col("n_cols")) & F.rlike("code", F.col("regex")))
+    # a code's first character is of a column that only columns with gaps stand before
+    lead = F.aggregate("cols", F.struct(F.array().cast("array<string>").alias("c"), F.lit(True).alias("on")), _lead, lambda s: F.array_distinct(s["c"]))
+    spread = nodes.withColumn("size", F.explode(F.sequence(F.greatest(F.lit(1), F.col("least")), F.col("n_cols")))).withColumn("lead", F.explode(lead))
+    hits = other.join(spread, (F.length("code") == F.col("size")) & (F.substring("code", 1, 1) == F.col("lead"))).where(F.rlike("code", F.col("regex")))
     wanted = hits.join(rules.select("block", "rep", "card", "col_ix", "attr"), ["block", "rep", "card"])
     metric, tie = tree.metric, tree.tie
 
@@ -40,6 +43,12 @@ def code_keys(codes: DataFrame, rules: DataFrame, tree: Tree, members: DataFrame
     return own.unionByName(new)
 
 
+def _lead(state: Column, col: Column) -> Column:
+    """Adds a column's characters as long as all columns before may be gaps."""
+    real = F.filter(col, lambda x: x.isNotNull())
+    return F.struct(F.when(state["on"], F.concat(state["c"], real)).otherwise(state["c"]).alias("c"), (state["on"] & F.exists(col, lambda x: x.isNull())).alias("on"))
+
+
 def _template(rep: str, card: int, cols, metric: CharMetric) -> Template:
     sets = [frozenset(c) for c in cols]
     return Template(rep, card, sets, 0, np.array([metric.pack(c) for c in sets], np.int64) if metric.packed else None)

@@ -1,8 +1,8 @@
 """Alignment kernel: fuse costs of one template against many, and single fuses with their column maps.
 
-Costs of a star run column by column of the pivot for all partners at once. Consuming a partner column
-alone is a running minimum of (value - cumulated gap cost), so there is no inner loop over partners or
-their columns.
+Costs of a star run column by column of the pivot for all partners at once, with spreads looked up by
+number. Consuming a partner column alone is a running minimum of (value - cumulated gap cost), so there is
+no inner loop over partners or their columns.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from .metric import GAP, GAP_BIT, CharMetric, union
+from .metric import GAP, GAP_BIT, SCHEMES, CharMetric, union
 
 TIES = ("gap_late", "gap_early")
 
@@ -62,44 +62,136 @@ def fuse_cost(p: Template, q: Template, metric: CharMetric) -> int:
     return int(_table(*_moves(p, q, metric))[-1, -1])
 
 
+class Summaries:
+    """Column summaries by small numbers, with the spreads of all their unions in one table; 0 is the empty column."""
+
+    def __init__(self, metric: CharMetric):
+        self.metric, self.number, self.packed = metric, {0: 0}, np.zeros(64, np.int64)
+        self.grown = 0
+        #: spread of the union of two columns, less the second one's spread beside a gap; and the spread beside a gap
+        self.step, self.gap = np.zeros((64, 64), np.int16), np.zeros(64, np.int16)
+        self._fill()
+
+    def of(self, packed: np.ndarray) -> np.ndarray:
+        number, out = self.number, np.empty(len(packed), np.intp)
+        for k, x in enumerate(packed.tolist()):
+            at = number.get(x)
+            if at is None:
+                at = number[x] = len(number)
+                if at == len(self.packed):
+                    self.packed = np.concatenate((self.packed, np.zeros(at, np.int64)))
+                    self.step, self.gap = np.zeros((2 * at, 2 * at), np.int16), np.zeros(2 * at, np.int16)
+                    self.grown = 0
+                self.packed[at] = x
+            out[k] = at
+        self._fill()
+        return out
+
+    def _fill(self) -> None:
+        n, own = len(self.number), self.packed[: len(self.number)]
+        if n > self.grown:
+            fresh, spread_of = own[self.grown :], self.metric.spread_of
+            self.gap[self.grown : n] = spread_of(fresh | GAP_BIT)
+            both = spread_of(union(fresh[:, None], own[None, :]))
+            self.step[self.grown : n, :n] = both - self.gap[None, :n]
+            self.step[:n, self.grown : n] = both.T - self.gap[None, self.grown : n]
+            self.grown = n
+
+
 class Pool:
-    """Packed summaries of many templates in one matrix, for stars."""
+    """Templates with their columns by number, one template a column of the matrix, for stars."""
 
     def __init__(self, templates: list[Template], metric: CharMetric):
         self.metric, self.items = metric, list(templates)
         self.length = np.array([len(t) for t in templates], np.int64)
         if metric.packed:
-            self.rows = np.zeros((len(templates), max(1, int(self.length.max(initial=1)))), np.int64)
+            self.seen = Summaries(metric)
+            self.rows = np.zeros((max(1, int(self.length.max(initial=1))), len(templates)), np.intp)
             for k, t in enumerate(templates):
-                self.rows[k, : len(t)] = t.packed
-            self.gaps = metric.spread_of(self.rows | GAP_BIT)
+                self.rows[: len(t), k] = self.seen.of(t.packed)
+            self.most = 2 * max(metric.same, metric.cross, metric.gap)
 
     def put(self, k: int, t: Template) -> None:
         self.items[k], self.length[k] = t, len(t)
         if self.metric.packed:
-            if len(t) > self.rows.shape[1]:
-                more = np.zeros((len(self.rows), len(t) + 4 - self.rows.shape[1]), np.int64)
-                self.rows, self.gaps = np.concatenate((self.rows, more), axis=1), np.concatenate((self.gaps, more.astype(self.gaps.dtype)), axis=1)
-            self.rows[k] = 0
-            self.rows[k, : len(t)] = t.packed
-            self.gaps[k] = self.metric.spread_of(self.rows[k] | GAP_BIT)
+            if len(t) > len(self.rows):
+                self.rows = np.concatenate((self.rows, np.zeros((len(t) + 4 - len(self.rows), self.rows.shape[1]), np.intp)))
+            self.rows[:, k] = 0
+            self.rows[: len(t), k] = self.seen.of(t.packed)
 
     def star(self, pivot: Template, at: np.ndarray) -> np.ndarray:
-        """Fuse costs of a pivot with the templates at the given places."""
+        """Fuse costs of a pivot with the templates at the given places.
+
+        Costs are kept less what the partner's columns so far cost beside gaps, so that consuming a partner
+        column alone is a running minimum and one lookup gives what pairing adds.
+        """
         if not self.metric.packed:
             return np.array([fuse_cost(pivot, self.items[k], self.metric) for k in at], np.int64)
         if not len(at):
             return np.zeros(0, np.int64)
-        width = int(self.length[at].max())
-        rows, right = self.rows[at, :width], self.gaps[at, :width].astype(np.int32)
-        walked = np.zeros((len(at), width + 1), np.int32)
-        np.cumsum(right, axis=1, out=walked[:, 1:])
-        row, down = walked.copy(), self.metric.spread_of(pivot.packed | GAP_BIT)
-        for i, col in enumerate(pivot.packed):
-            t = row + down[i]
-            np.minimum(t[:, 1:], row[:, :-1] + self.metric.spread_of(union(col, rows)), out=t[:, 1:])
-            row = np.minimum.accumulate(t - walked, axis=1) + walked
-        return row[np.arange(len(at)), self.length[at]].astype(np.int64)
+        width, own = int(self.length[at].max()), self.seen.of(pivot.packed)
+        kind = np.int16 if (width + len(own) + 2) * self.most < 30_000 else np.int64
+        rows = self.rows[:width, at]
+        row, down = np.zeros((width + 1, len(at)), kind), self.seen.gap[own].astype(kind)
+        step = np.empty(rows.shape, np.int16)
+        places = list(row)
+        steps = list(zip(places, places[1:])) if len(at) > 256 else []  # long rows go faster one by one
+        for col, alone in zip(own.tolist(), down.tolist()):
+            np.take(self.seen.step[col], rows, out=step, mode="clip")
+            paired = row[:-1] + step
+            row += kind(alone)
+            np.minimum(row[1:], paired, out=row[1:])
+            for before, here in steps:
+                np.minimum(before, here, here)
+            if not steps:
+                np.minimum.accumulate(row, axis=0, out=row)
+        alone = np.concatenate((np.zeros((1, len(at)), np.int64), np.cumsum(self.seen.gap[rows], axis=0, dtype=np.int64)))
+        end = self.length[at], np.arange(len(at))
+        return row[end].astype(np.int64) + alone[end]
+
+    def intervals(self) -> tuple[np.ndarray, np.ndarray]:
+        """Bounds of the costs of all pairs of codes without aligning any, by profiles.
+
+        Below: of the shorter code's characters at most as many find their equal, or one of their class, as both
+        multisets share. Above: the cheapest alignment with all gaps in one place.
+        """
+        n, m = len(self.items), self.metric
+        codes, size = [t.rep for t in self.items], self.length
+        kind = np.int16 if int(size.max(initial=0)) * self.most < 6_000 else np.int32
+        low, high = np.empty((n, n), kind), np.empty((n, n), kind)
+        plain, classed = _marks(codes, lambda c: c), _marks(codes, SCHEMES[m.scheme])
+        for at in range(0, n, 256):
+            own = slice(at, at + 256)
+            apart, shorter = np.abs(size[own, None] - size), np.minimum(size[own, None], size)
+            low[own] = m.gap * apart
+            if m.same <= m.cross <= 2 * m.gap:
+                shared, related = plain[own] @ plain.T, classed[own] @ classed.T
+                low[own] += (m.same * (related - shared) + m.cross * (shorter - related)).astype(kind)
+        back = np.zeros_like(self.rows)  # codes from their ends
+        for k, length in enumerate(size.tolist()):
+            back[:length, k] = self.rows[:length, k][::-1]
+        groups = [(int(x), np.flatnonzero(size == x)) for x in np.unique(size)]
+        for k, length in enumerate(size.tolist()):
+            ahead, behind = (self._paired(r[:length, k], r[:length]) for r in (self.rows, back))
+            for other, own in groups:
+                both = min(length, other)
+                high[k, own] = (ahead[: both + 1, own] + behind[both::-1, own]).min(axis=0) + m.gap * abs(length - other)
+        return low, high
+
+    def _paired(self, own: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """Running costs of pairing columns place by place."""
+        costs = self.seen.step[own[:, None], rows] + self.seen.gap[rows]
+        return np.concatenate((np.zeros((1, rows.shape[1]), np.int32), np.cumsum(costs, axis=0, dtype=np.int32)))
+
+
+def _marks(codes: list[str], kind) -> np.ndarray:
+    """0/1 rows, one place for each k-th occurrence of a kind; products of rows are sizes of multiset intersections."""
+    place: dict[tuple, int] = {}
+    marks = [[place.setdefault((c, kinds[:k].count(c)), len(place)) for k, c in enumerate(kinds)] for kinds in ([kind(c) for c in code] for code in codes)]
+    has = np.zeros((len(codes), max(1, len(place))), np.float32)
+    for k, at in enumerate(marks):
+        has[k, at] = 1
+    return has
 
 
 def fuse(p: Template, q: Template, metric: CharMetric, tie: str = "gap_late") -> tuple[Template, list[int], list[int]]:

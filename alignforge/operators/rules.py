@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import json
 from dataclasses import dataclass
 
 import pandas as pd
@@ -163,7 +162,7 @@ def drop_implied(rules: DataFrame, tree: Tree) -> DataFrame:
 def rule_map(df: DataFrame, code: str, rules: DataFrame, tree: Tree, attrs: list[str], members: DataFrame | None = None) -> DataFrame:
     """(block, rep, card, col_ix, attr, key, value, n, runner_up): the most frequent value of each key; ties to the smaller value."""
     picked = rules.select("block", "rep", "card").distinct()
-    members = (members if members is not None else tree.members(min_card=2)).join(picked, ["block", "rep", "card"])
+    members = tree.members(only=picked) if members is None else members.join(picked, ["block", "rep", "card"])
     claims = node_claims(members, unpivot_counts(df, code, attrs)).join(rules.select("block", "rep", "card", "col_ix", "attr"), ["block", "rep", "card", "col_ix", "attr"])
     return majority(claims, ["block", "rep", "card", "col_ix", "attr"])
 
@@ -194,9 +193,9 @@ def choose_alignment(df: DataFrame, code: str, attrs: list[str], settings: list[
     return settings[best], trees[best], scores
 
 
-def rules_json(rules: DataFrame) -> list[dict]:
-    """A small rule catalog for display; not for large results."""
-    return [json.loads(x) for x in rules.toJSON().take(1000)]
+def rules_json(rules: DataFrame) -> DataFrame:
+    """Every rule as one line of JSON, column rule."""
+    return rules.select(F.to_json(F.struct(*rules.columns)).alias("rule"))
 
 
 __all__ = ["GAP_KEY", "RULES", "Thresholds", "choose_alignment", "discover", "drop_implied", "majority", "rule_map", "rules_json"]

@@ -190,7 +190,7 @@ def _law2_claims(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = relation(spark, sf_dir, "part_code")
     tree = tree_of(df)
     node = law_keys(df).where("law = 2").select("rep", "card")
-    return node_claims(tree.members(min_card=2).join(node, ["rep", "card"]), unpivot_counts(df, "code", ["p_type", "colour"]))
+    return node_claims(aligned_rows(spark, tree, node), unpivot_counts(df, "code", ["p_type", "colour"]))
 
 
 _LAW2 = "WITH " + measured(law_claims("part_code", ["p_type", "colour"], 7, "law = 2"), "law, col_ix, attr")
@@ -222,7 +222,7 @@ def eta_example(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def aligned_rows(spark: SparkSession, tree: Tree, key: DataFrame) -> DataFrame:
-    return tree.members(min_card=2).join(key, ["rep", "card"])
+    return tree.members(only=tree.all.join(key, ["rep", "card"], "left_semi")).join(key, ["rep", "card"])
 
 
 @query("align_nation", "SELECT n_name AS code, CASE WHEN length(n_name) = 8 THEN concat(substr(n_name, 1, 7), '_', substr(n_name, 8, 1)) ELSE n_name END AS aligned FROM nation")
@@ -362,11 +362,6 @@ def metric_check(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ------------------------------------------------------------------ trees and their cost
 
 
-@query("evals_pair_part", "SELECT (count(DISTINCT code) - 1) * (count(DISTINCT code) - 1) AS fuse_evals FROM part_code")
-def evals_pair_part(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tree_of(relation(spark, sf_dir, "part_code"), algorithm="pair").counters.select("fuse_evals")
-
-
 @query("tree_size_part", "SELECT count(DISTINCT code) - 1 AS nodes, count(DISTINCT code) AS root_card, count(*) AS root_weight FROM part_code")
 def tree_size_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tree_of(relation(spark, sf_dir, "part_code")).nodes.agg(F.count("*").alias("nodes"), F.max("card").alias("root_card"), F.max("weight").alias("root_weight"))
@@ -381,25 +376,26 @@ def differing(a: Tree, b: Tree) -> DataFrame:
 
 @query("same_tree_bounded", "SELECT CAST(0 AS bigint) AS differing")
 def same_tree_bounded(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Both pruned searches build the baseline's tree."""
+    """All pruned searches build the baseline's tree."""
     df = relation(spark, sf_dir, "part_code")
     base = tree_of(df, algorithm="pair")
-    return differing(base, tree_of(df, profile="star")).unionByName(differing(base, tree_of(df))).agg(F.count("*").alias("differing"))
+    star, inherit, profile = (differing(base, tree_of(df, **o)) for o in ({"profile": "star", "lower": "zero"}, {"lower": "zero"}, {}))
+    return star.unionByName(inherit).unionByName(profile).agg(F.count("*").alias("differing"))
 
 
 @query("same_tree_rounds", "SELECT CAST(0 AS bigint) AS differing")
 def same_tree_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """So does round-parallel fusing."""
-    df = relation(spark, sf_dir, "nation_code")
-    return differing(tree_of(df, algorithm="pair"), tree_of(df, algorithm="rounds")).agg(F.count("*").alias("differing"))
+    """So does round-parallel fusing with intervals, here until 64 templates are left for one worker."""
+    df = relation(spark, sf_dir, "part_code")
+    return differing(tree_of(df, algorithm="pair"), tree_of(df, algorithm="rounds", finish=64)).agg(F.count("*").alias("differing"))
 
 
-@query("bounded_not_more", "SELECT TRUE AS star_not_more, TRUE AS inherit_not_more")
+@query("bounded_not_more", "SELECT TRUE AS star_not_more, TRUE AS inherit_not_more, TRUE AS profile_not_more")
 def bounded_not_more(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = relation(spark, sf_dir, "part_code")
     n = lambda name, **o: tree_of(df, **o).counters.select(F.col("fuse_evals").alias(name))
-    one = n("pair", algorithm="pair").crossJoin(n("star", profile="star")).crossJoin(n("inherit"))  # one row each
-    return one.select((F.col("star") <= F.col("pair")).alias("star_not_more"), (F.col("inherit") <= F.col("star")).alias("inherit_not_more"))
+    one = n("pair", algorithm="pair").crossJoin(n("star", profile="star", lower="zero")).crossJoin(n("inherit", lower="zero")).crossJoin(n("profile"))  # one row each
+    return one.select((F.col("star") <= F.col("pair")).alias("star_not_more"), (F.col("inherit") <= F.col("star")).alias("inherit_not_more"), (F.col("profile") <= F.col("inherit")).alias("profile_not_more"))
 
 
 def _counts(name: str, rel: str) -> None:
@@ -409,22 +405,39 @@ def _counts(name: str, rel: str) -> None:
         return compare_searches(dedupe(relation(spark, sf_dir, rel))).drop("wall_ms", "refine_hist", "block")
 
 
-_counts("counts_part", "part_code")
-_counts("counts_pages", "page_url")
-_counts("counts_orders", "order_code")
+def _shares(name: str, rel: str) -> None:
+    @query(name)
+    def shares(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Share of the baseline's evaluations that each search makes, and its time in milliseconds, the median of three runs."""
+        found = compare_searches(dedupe(relation(spark, sf_dir, rel)), repeats=3)
+        base = found.where("method = 'pair'").select(F.col("fuse_evals").alias("base"))
+        return found.crossJoin(F.broadcast(base)).select("method", "n", F.round(F.col("fuse_evals") / F.col("base"), 6).alias("evals_share"), "wall_ms")  # base is one row
+
+
+def _evals_pair(name: str, rel: str) -> None:
+    @query(name, f"SELECT (count(DISTINCT code) - 1) * (count(DISTINCT code) - 1) AS fuse_evals FROM {rel}")
+    def evals_pair(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """The baseline's evaluations follow from the number of distinct codes."""
+        return tree_of(relation(spark, sf_dir, rel), algorithm="pair").counters.select("fuse_evals")
+
+
+for _name, _rel in (("part", "part_code"), ("pages", "page_url"), ("orders", "order_code")):
+    _counts(f"counts_{_name}", _rel)
+    _shares(f"shares_{_name}", _rel)
+    _evals_pair(f"evals_pair_{_name}", _rel)
 
 
 @query("refine_hist_part")
 def refine_hist_part(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How often a selection took so many refines, with inherited bounds."""
-    return tree_of(relation(spark, sf_dir, "part_code")).counters.select(F.explode("refine_hist").alias("refines", "selections"))
+    return tree_of(relation(spark, sf_dir, "part_code"), lower="zero").counters.select(F.explode("refine_hist").alias("refines", "selections"))
 
 
 @query("independence_pages", "SELECT TRUE AS same_tree, TRUE AS not_more_refines_in_worst")
 def independence_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Looking only at dependent pairs changes no node and shortens the worst selection."""
     df = relation(spark, sf_dir, "page_url")
-    on, off = tree_of(df), tree_of(df, independence=False)
+    on, off = tree_of(df, lower="zero"), tree_of(df, lower="zero", independence=False)
     worst = lambda t, name: t.counters.select(F.array_max(F.map_keys("refine_hist")).alias(name))
     return differing(on, off).agg((F.count("*") == 0).alias("same_tree")).crossJoin(worst(on, "x")).crossJoin(worst(off, "y")).select("same_tree", (F.col("x") <= F.col("y")).alias("not_more_refines_in_worst"))
 
@@ -709,13 +722,14 @@ for _group, (_option, _values) in SIZES.items():
 
 @query("apply_lineitem", "SELECT substr(code, 1, 1) AS key, l_returnflag AS predicted, count(*) AS tuples, count(*) AS agreeing FROM line_code GROUP BY 1, 2")
 def apply_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A rule learned on the distinct codes, applied to all lines in one pass: key, then map lookup."""
+    """A rule learned on the distinct codes, applied to all lines: keys and predictions per code, then one join of the lines."""
     df = relation(spark, sf_dir, "line_code")
     tree = tree_of(df)
     own = discover(df, "code", ["l_returnflag"], tree, Thresholds(10, 0.9, 2, 5)).where("col_ix = 1").join(tree.roots().select("rep", "card"), ["rep", "card"], "left_semi")
-    maps = rules.rule_map(df, "code", own, tree, ["l_returnflag"]).select("key", F.col("value").alias("predicted"))
-    keyed = df.withColumn("key", F.substring("code", 1, 1))  # column 1 of the root holds no gap, so it is the first character
-    return keyed.join(maps, "key").groupBy("key", "predicted").agg(F.count("*").alias("tuples"), F.count_if(F.col("predicted") == F.col("l_returnflag")).alias("agreeing"))
+    keys = clean.code_keys(df.select("code"), own, tree)
+    predicted = clean.predictions(keys, own, rules.rule_map(df, "code", own, tree, ["l_returnflag"]))
+    per_code = keys.select("code", "key").join(predicted.select("code", "predicted"), "code")
+    return df.select("code", "l_returnflag").join(per_code, "code").groupBy("key", "predicted").agg(F.count("*").alias("tuples"), F.count_if(F.col("predicted") == F.col("l_returnflag")).alias("agreeing"))
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,11 +7,12 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.sql import AlignColumns, cost_udf, spread_agg
-from ..operators.align import block_by, dedupe, signature
+from ..operators.align import block_by, dedupe, learn_tree, signature
 from ..operators.baselines import fd_measures
 from ..operators.claims import unpivot_counts
+from ..operators.clean import code_keys, predictions
 from ..operators.metric import CharMetric
-from ..operators.rules import discover
+from ..operators.rules import Thresholds, discover, rule_map
 from ..operators.pattern import matches
 from ..sources.codes import relation, table
 from ..streaming import stream
@@ -54,7 +55,8 @@ def join_codes_members(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Tuples with the law node that holds their code; a sort-merge join, as members may be large."""
     df = relation(spark, sf_dir, "part_code")
     tree = tree_of(df)
-    members = tree.members(min_card=2).join(law_keys(df), ["rep", "card"]).select("code", "law")
+    keys = law_keys(df)
+    members = tree.members(only=tree.all.join(keys, ["rep", "card"], "left_semi")).join(keys, ["rep", "card"]).select("code", "law")
     sized = members.join(dedupe(df).withColumnRenamed("weight", "n"), "code")
     return df.select("p_partkey", "code").join(sized.hint("merge"), "code").select("p_partkey", "code", "law", "n")
 
@@ -331,15 +333,19 @@ _EXPECTED = "SELECT e.*, m.value AS expected, coalesce(m.value <> e.event_type,
 
 
 def event_rules(events: DataFrame) -> DataFrame:
-    """Majority event type of each two-letter head of an event's code."""
-    from ..operators.rules import majority
+    """(key, value): the event type that the rules foresee for each distinct code.
 
-    return majority(events.select(F.substring("code", 1, 2).alias("key"), F.col("event_type").alias("value"), F.lit(1).alias("n")), [])
+    A tree per first letter, the rules at its root, and a vote of them; noise of a few percent stays below their confidence.
+    """
+    tree = learn_tree(block_by(dedupe(events), "prefix", length=1))
+    own = discover(events, "code", ["event_type"], tree, Thresholds(10, 0.9, 1, 5)).join(tree.roots().select("block", "rep", "card"), ["block", "rep", "card"], "left_semi")
+    keys = code_keys(events.select("code"), own, tree)
+    return predictions(keys, own, rule_map(events, "code", own, tree, ["event_type"])).select(F.col("code").alias("key"), F.col("predicted").alias("value"))
 
 
 def flagged_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = relation(spark, sf_dir, "event_code")
-    return stream.flagged(e, event_rules(e), F.substring("code", 1, 2), "event_type")
+    return stream.flagged(e, event_rules(e), F.col("code"), "event_type")
 
 
 @query("stream_violations", f"SELECT time_bucket(INTERVAL '1 hour', ts) AS w_start, count(*) AS events, count(*) FILTER (WHERE violates) AS violations FROM ({_EXPECTED}) x GROUP BY 1")

@@ -9,8 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir where the cluster sets it; otherwise (local runs, tests) a folder of our own."""
+    """spark.checkpoint.dir where the cluster sets it; a folder of our own only where all runs on one machine.
+
+    Elsewhere executors would write to their own disks and reads would come back incomplete, so that is refused.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base and not spark.sparkContext.master.split("[")[0] == "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return (base or "file:///tmp/checkpoints").rstrip("/")
 
 

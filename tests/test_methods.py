@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -221,3 +222,29 @@ def test_x4_recompute():
     r = random.Random(11)
     some = sorted({"".join(r.choice("abc12-/") for _ in range(r.randint(3, 8))) for _ in range(40)})
     assert shape(bounded_fuse(some, METRIC)) == shape(bounded_fuse(some, METRIC, profile="star")) == shape(pair_fuse(some, METRIC))
+
+
+@settings(max_examples=40, deadline=None)
+@given(st.lists(codes, min_size=1, max_size=12, unique=True), st.sampled_from([CharMetric.classes(), CharMetric.unit(), CharMetric.classes(same=1.0, cross=1.0, gap=2.0)]))
+def test_profile_intervals_hold_the_costs(some, metric):
+    pool = Pool([leaf(c, metric) for c in some], metric)
+    low, high = pool.intervals()
+    for a in range(len(some)):
+        exact = [fuse_cost(pool.items[a], x, metric) for x in pool.items]
+        assert pool.star(pool.items[a], np.arange(len(some))).tolist() == exact
+        assert all(x <= c <= y for x, c, y in zip(low[a], exact, high[a]))
+
+
+@settings(max_examples=30, deadline=None)
+@given(st.lists(codes, min_size=2, max_size=14, unique=True))
+def test_profile_search_builds_the_same_tree(some):
+    assert shape(bounded_fuse(some, METRIC, lower="profile")) == shape(pair_fuse(some, METRIC))
+
+
+def test_wide_costs_move_to_whole_words():
+    b = Bounds(3)
+    b.lb[0, 1] = b.lb[1, 0] = 7
+    b.room_for(10_000)
+    assert b.lb.dtype == np.int32 and b.lb[0, 1] == 7 and b.ub[0, 1] == b.far == b.off - 1
+    long = ["a" * 3000, "1" * 2990, "a" * 2980 + "1" * 15]
+    assert shape(bounded_fuse(long, METRIC)) == shape(pair_fuse(long, METRIC))

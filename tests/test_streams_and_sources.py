@@ -36,7 +36,7 @@ def drained(df, name, mode="append"):
 
 def flagged(spark, sf, events, live):
     e = stream.read_stream(spark, events, SCHEMA) if live else spark.read.parquet(events)
-    return stream.flagged(e, relational.event_rules(relation(spark, sf, "event_code")), F.substring("code", 1, 2), "event_type")
+    return stream.flagged(e, relational.event_rules(relation(spark, sf, "event_code")), F.col("code"), "event_type")
 
 
 def test_windowed_counts(spark, sf, events):
@@ -151,23 +151,59 @@ def test_support_equal_to_the_threshold(spark):
 
 def test_rounds_give_the_same_tree(spark):
     codes = dedupe(synth.coded_strings(spark, N=60, l=8, CN=4, sigma=0.15, seed=3))
-    a, b = learn_tree(codes, algorithm="pair"), learn_tree(codes, algorithm="rounds")
+    a, b = learn_tree(codes, algorithm="pair"), learn_tree(codes, algorithm="rounds", finish=1)
     assert relational.tree_of  # both trees by the same names
     cols = ["rep", "card", "weight", "cost_u", "pattern", "left_rep", "left_card", "right_rep", "right_card"]
     assert a.nodes.select(*cols).exceptAll(b.nodes.select(*cols)).count() == 0 and a.nodes.count() == b.nodes.count()
-    assert b.counters.first()["rounds"] < 30
+    assert 1 < b.counters.first()["rounds"] < 30 and b.counters.first()["fuse_evals"] < a.counters.first()["fuse_evals"]
 
 
 def test_rounds_with_cost_limit_and_blocks(spark, sf):
     codes = block_by(dedupe(relation(spark, sf, "nation_code")), "signature")
-    a, b = (learn_tree(codes, algorithm=x, max_cost=1.0, tie="gap_early") for x in ("pair", "rounds"))
+    a, b = (learn_tree(codes, algorithm=x, max_cost=1.0, tie="gap_early", finish=1) for x in ("pair", "rounds"))
     assert a.nodes.select("rep", "card", "cost_u").exceptAll(b.nodes.select("rep", "card", "cost_u")).count() == 0
 
 
-def test_large_blocks_are_refused(spark):
-    codes = dedupe(synth.coded_strings(spark, N=40, l=8, CN=4))
+def test_large_blocks_go_on_in_rounds(spark):
+    """Blocks above the limit and below it, in one call; the baseline, which can't be split, is refused."""
+    codes = dedupe(synth.coded_strings(spark, N=60, l=8, CN=4)).withColumn("block", F.when(F.col("code") < "c", "low").otherwise("high"))
+    sizes = {r["block"]: r["count"] for r in codes.groupBy("block").count().collect()}
+    assert min(sizes.values()) < max(sizes.values())
+    cols = ["block", "rep", "card", "weight", "cost_u", "pattern", "left_rep", "left_card", "right_rep", "right_card"]
+    a, b = learn_tree(codes, algorithm="pair"), learn_tree(codes, max_block=min(sizes.values()), finish=4)
+    assert a.nodes.select(*cols).exceptAll(b.nodes.select(*cols)).count() == 0 and a.nodes.count() == b.nodes.count()
+    assert {r["block"]: (r["n"], r["fuse_done"]) for r in b.counters.collect()} == {k: (n, n - 1) for k, n in sizes.items()}
     with pytest.raises(Exception, match="rounds"):
-        learn_tree(codes, max_block=10)
+        learn_tree(codes, algorithm="pair", max_block=10)
+
+
+def test_scratch_needs_a_shared_folder(spark):
+    from alignforge.plans import scratch
+
+    class Far:
+        conf = spark.conf
+        sparkContext = type("Context", (), {"master": "spark://far:7077"})()
+
+    if spark.conf.get("spark.checkpoint.dir", None):
+        pytest.skip("the session names a folder")
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        scratch.shared_dir(Far())
+    assert scratch.shared_dir(spark).startswith("file:")
+
+
+def test_unseen_codes_meet_templates_by_length_and_lead(spark):
+    """Codes that the tree does not hold, with and without the optional parts, and one that no template matches."""
+    df = spark.createDataFrame([(f"{h}K{d}{t}", f"v{d}") for h in ("", "S") for d in range(4) for t in ("x", "y", "z")], "code string, v string")
+    tree = learn_tree(dedupe(df))
+    own = discover(df, "code", ["v"], tree, Thresholds(10, 0.9, 2, 2)).join(tree.roots().select("rep", "card"), ["rep", "card"], "left_semi")
+    new = spark.createDataFrame([("K1w",), ("SK3x",), ("QQ-99999",), ("K2z",)], "code string")
+    near = new.where("code <> 'K1w'").union(spark.createDataFrame([("SK2y",)], "code string"))
+    keys = {(r["code"], r["key"]) for r in clean.code_keys(near, own, tree).collect()}
+    assert {k for k, _ in keys} == {"SK3x", "K2z", "SK2y"} and ("SK3x", "3") in keys
+    less = learn_tree(dedupe(df.where("code not in ('SK3x', 'K2z')")))
+    own = discover(df, "code", ["v"], less, Thresholds(10, 0.9, 2, 2)).join(less.roots().select("rep", "card"), ["rep", "card"], "left_semi")
+    keys = {(r["code"], r["key"]) for r in clean.code_keys(new, own, less).collect()}
+    assert keys == {("SK3x", "3"), ("K2z", "2")}
 
 
 def test_cleaning_of_unseen_codes(spark):
