@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+import socket
 from bisect import bisect_left
 from collections.abc import Iterator
 from functools import lru_cache
@@ -24,8 +25,6 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import small_batches
-
 KINDS = ("email", "ip", "card", "phone")
 PRECISION = 0.99
 CONTEXT = 32
@@ -70,7 +69,7 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
     if not _digit.search(text):
         return out
     # A match takes the whole of its digit runs, so it can only begin where one begins.
-    out += [("ip", *m.span()) for m in _ip.finditer(text) if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m[0].split("."))]
+    out += [("ip", *m.span()) for m in _ip.finditer(text) if all(len(p := x.lstrip("0")) <= 3 and int(p or 0) <= 255 for x in m[0].split("."))]
     for m in _card.finditer(text):
         digits = re.sub("[^0-9]", "", m[0])
         if 16 <= len(digits) <= 19 and luhn(digits):
@@ -89,8 +88,10 @@ GENERATORS = {
     "email": re.compile(rf"(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9._%+-]{{1,63}}{_AT}[A-Za-z0-9-]{{2,63}}(?:{_DOT}[A-Za-z0-9-]{{2,63}}){{1,3}}", re.I),
     "phone": re.compile(r"(?<![\w.+-])(?:\([0-9]{2,4}\) ?|[0-9]{2,4}[ .-])[0-9]{3,4}[ .-][0-9]{3,4}(?:[ .-][0-9]{2,4})?(?![\w-])"),
     "card": re.compile(r"(?<![\w.+-])[0-9]{4}[ -]?[0-9]{5,6}[ -]?[0-9]{4,5}(?![\w-])"),
-    "ip": re.compile(r"(?<![\w:])(?:[0-9a-f]{1,4}:){3,7}(?:[0-9a-f]{1,4}|:[0-9a-f]{1,4})(?![\w:])", re.I),
+    "ip": re.compile(r"(?<![\w:])(?:(?:[0-9a-f]{1,4}:){3,7}[0-9a-f]{1,4}|(?:[0-9a-f]{1,4}:){0,6}(?:[0-9a-f]{1,4}:|:)(?::[0-9a-f]{1,4}){1,6})(?![\w:])", re.I),
 }
+# all that the mail generator proposes holds one of these
+_AT_SIGN = re.compile(_AT, re.I)
 # Words that speak for a kind, and words that speak against personal data.
 CUES = {
     "email": ("mail", "contact", "write", "reach", "send", "address"),
@@ -103,16 +104,23 @@ AGAINST = ("order", "isbn", "issn", "version", "invoice", "serial", "part", "mod
 
 def candidates(text: str) -> list[tuple[str, int, int]]:
     out: list[tuple[str, int, int]] = []
-    low_at = " at " in text or "[at" in text or "(at" in text or " AT " in text or "[ at" in text or "{at" in text or "<at" in text
-    if low_at and ("dot" in text or "DOT" in text or "." in text):
+    if _AT_SIGN.search(text):
         out += [("email", *m.span()) for m in GENERATORS["email"].finditer(text)]
+    if ":" in text:
+        out += [("ip", *m.span()) for m in GENERATORS["ip"].finditer(text)]
     if _digit.search(text):
-        for kind in ("ip", "card", "phone"):
-            if kind != "ip" or ":" in text:
-                out += [(kind, *m.span()) for m in GENERATORS[kind].finditer(text)]
+        for kind in ("card", "phone"):
+            out += [(kind, *m.span()) for m in GENERATORS[kind].finditer(text)]
     return out
 
 
+def is_ipv6(span: str) -> bool:
+    try:
+        return bool(socket.inet_pton(socket.AF_INET6, span))
+    except (OSError, ValueError):
+        return False
+
+
 def features(text: str, kind: str, start: int, end: int) -> np.ndarray:
     """Format of the span, and what stands around it."""
     span = text[start:end]
@@ -127,6 +135,7 @@ def features(text: str, kind: str, start: int, end: int) -> np.ndarray:
     x += [luhn(digits) if digits else 0, len(set(digits)), runs, digits[:1] == "0", digits[:1] in ("3", "4", "5", "6") if digits else 0]
     x += [any(c in "[({<" for c in span), " dot " in span.lower(), span.lower().endswith((".com", ".org", ".net", "com", "org", "net", "edu", "gov", "de", "fr", "es", "io"))]
     x += [sum(w.startswith(c) for w in near for c in CUES[kind]), sum(w in AGAINST for w in near), sum(w.startswith(c) for w in near[-6:] for k in KINDS for c in CUES[k])]
+    x += [kind == "ip" and is_ipv6(span), "::" in span, sum(map(str.isdigit, span)) / len(span)]
     x += [left.rstrip()[-1:] in (":", "="), bool(re.search(r"[0-9]\s?$", left)), bool(re.match(r"\s?[0-9]", right)), sum(c.isdigit() for c in left), left.rstrip()[-1:] in ("#", "$", "€", "v")]
     return np.array(x, np.float64)
 
@@ -234,7 +243,11 @@ def _examples(n: int, seed: int) -> Iterator[tuple[str, bool]]:
                 thing = bad if not luhn(bad) or r.random() < 0.3 else num(k - 1) + pick("123456789")
         else:
             hexa = lambda: f"{int(r.integers(0, 65536)):x}"
-            thing = ":".join(hexa() for _ in range(8)) if good else pick((":".join(num(2) for _ in range(4)), ":".join(num(1) for _ in range(int(r.integers(4, 7)))), ":".join(f"{int(r.integers(0, 256)):02x}" for _ in range(6)), ":".join(num(2) for _ in range(5))))
+            most = lambda k: ":".join(hexa() for _ in range(int(r.integers(1, k + 1))))
+            whole = ":".join(hexa() for _ in range(8))
+            short = pick((f"{pick(('fe80', '2001:db8', 'fd00', '2a02:8071'))}::{most(4)}", f"{pick(('fe80', '2001:db8', 'fd00'))}:{most(3)}::{most(2)}", f"2001:{most(4)}::{num(1)}"))
+            hexish = lambda: pick(("a", "b", "add", "bad", "cafe", "dead", "face", "fed", "be", "ad", "c", "f"))
+            thing = pick((whole, short)) if good else pick((f"{hexish()}::{hexish()}", f"{num(2)}::{num(2)}", ":".join(num(2) for _ in range(4)), ":".join(num(1) for _ in range(int(r.integers(4, 7)))), ":".join(f"{int(r.integers(0, 256)):02x}" for _ in range(6)), ":".join(num(2) for _ in range(5))))
         yield f"{lead}{thing}{pick((' ', ', ', '. ', ') '))}{prose(4)}", good
 
 
@@ -288,7 +301,6 @@ def spans(text: str | None, trees: Boosted, cut: dict[str, float]) -> tuple[list
 
 def detect(docs: DataFrame) -> DataFrame:
     """doc_id, kinds, starts, ends, scores, is_base of all spans of every row; one scan, no shuffle."""
-    small_batches(docs.sparkSession)
     trees, cut = model()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
