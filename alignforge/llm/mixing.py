@@ -19,7 +19,7 @@ depend on the slot number only.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -164,21 +164,20 @@ def mix_documents(docs: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
     plan = mix(docs, n_slots).groupBy(F.col("doc_id").alias("__mix_id"), F.col("source").alias("__mix_source"), F.col("size").alias("__mix_size")).agg(F.sum("copies").alias("__mix_copies"), F.count("*").alias("__mix_rows"))
     plan = Scratch(docs.sparkSession, "plan").save(plan.where("__mix_copies > 0"), "plan")
 
-    own = [docs[f"`{c}`"] for c in docs.columns]
+    row = F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("row")
 
     def joined(part: DataFrame) -> DataFrame:
         same = docs["doc_id"].eqNullSafe(part["__mix_id"]) & docs["source"].eqNullSafe(part["__mix_source"]) & (word_count(docs["text"]) == part["__mix_size"])
         return docs.join(part.hint("shuffle_hash"), same)
 
-    def unfolded(rows: DataFrame, copies: Column) -> DataFrame:
-        return rows.where(copies > 0).select(*own, F.explode(F.sequence(F.lit(1).cast("long"), copies))).select(*own)
+    def unfolded(rows: DataFrame) -> DataFrame:  # (row, copies)
+        return rows.where("copies > 0").select("row", F.explode(F.sequence(F.lit(1).cast("long"), "copies")).alias("turn")).select("row.*")
 
     once, several = plan.where("__mix_rows = 1"), plan.where("__mix_rows > 1")
-    out = unfolded(joined(once), once["__mix_copies"])
+    out = unfolded(joined(once).select(row, once["__mix_copies"].alias("copies")))
     if several.isEmpty():
         return out
     at = F.row_number().over(W.partitionBy(several["__mix_id"], several["__mix_source"], several["__mix_size"]).orderBy(row_hash(docs)))
     rest = several["__mix_copies"] % several["__mix_rows"]
     share = ((several["__mix_copies"] - rest) / several["__mix_rows"]).cast("long") + (at <= rest).cast("long")
-    dealt = joined(several).select(*own, share.alias("__mix_share"))
-    return out.unionByName(dealt.where(dealt["__mix_share"] > 0).select(*own, F.explode(F.sequence(F.lit(1).cast("long"), dealt["__mix_share"]))).select(*own))
+    return out.unionByName(unfolded(joined(several).select(row, share.alias("copies"))))
