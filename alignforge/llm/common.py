@@ -37,13 +37,6 @@ def lean_batches(spark: SparkSession) -> Iterator[None]:
             spark.conf.set(k, v)
 
 
-def small_batches(spark: SparkSession) -> None:
-    """Lowers the session's Arrow batch limits to what rows of long texts need; results don't depend on them."""
-    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
-        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
-        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
