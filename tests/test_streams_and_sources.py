@@ -177,18 +177,19 @@ def test_large_blocks_go_on_in_rounds(spark):
         learn_tree(codes, algorithm="pair", max_block=10)
 
 
-def test_scratch_needs_a_shared_folder(spark):
+def test_scratch_needs_a_shared_folder():
     from alignforge.plans import scratch
 
-    class Far:
-        conf = spark.conf
-        sparkContext = type("Context", (), {"master": "spark://far:7077"})()
+    def session(master: str, folder: str | None):
+        conf = type("Conf", (), {"get": lambda self, key, default=None: folder or default})()
+        return type("Session", (), {"conf": conf, "sparkContext": type("Context", (), {"master": master})()})()
 
-    if spark.conf.get("spark.checkpoint.dir", None):
-        pytest.skip("the session names a folder")
     with pytest.raises(ValueError, match="spark.checkpoint.dir"):
-        scratch.shared_dir(Far())
-    assert scratch.shared_dir(spark).startswith("file:")
+        scratch.shared_dir(session("spark://far:7077", None))
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        scratch.shared_dir(session("local-cluster[2,1,512]", None))
+    assert scratch.shared_dir(session("spark://far:7077", "s3a://b/c/")) == "s3a://b/c"
+    assert scratch.shared_dir(session("local[4]", None)).startswith("file:")
 
 
 def test_unseen_codes_meet_templates_by_length_and_lead(spark):
