@@ -133,6 +133,13 @@ class Tree:
         flat = marked.where("ok").join(up.where("up_ok").select("block", "rep", "card"), ["block", "rep", "card"], "left_anti").drop("ok")
         return flat.where(F.col("card") >= min_card) if min_card else flat
 
+    def largest_step(self) -> float:
+        """The cost below the largest step between neighbouring fuse costs of any block: a cut that needs no knowledge of clusters."""
+        order = W.partitionBy("block").orderBy("cost_u")
+        steps = self.nodes.select("block", "cost_u").distinct().withColumn("step", F.lead("cost_u").over(order) - F.col("cost_u"))
+        best = steps.agg(F.max_by("cost_u", F.struct("step", -F.col("cost_u")))).first()[0]
+        return (best or 0) / 2
+
 
 def learn_tree(
     codes: DataFrame, metric: CharMetric | None = None, algorithm: str = "bounded", profile: str = "star+inherit", independence: bool = True,

@@ -100,20 +100,38 @@ class Bounds:
         for m in (self.lb, self.ub):
             m[pivot, ask] = cost
             m[ask, pivot] = cost
-        exact = self.lb[pivot, rest]
-        changed, height = 0, max(1, (1 << 17) // max(1, len(rest)))
-        for at in range(0, len(rest), height):  # some rows at a time, so that what is gathered stays small
-            grid = np.ix_(rest[at : at + height], rest)
-            had, top, e = self.lb[grid], self.ub[grid], exact[at : at + height, None]
-            low, high = np.maximum(had, np.abs(e - exact)), np.minimum(top, e + exact)
-            own = np.arange(len(had))
-            low[own, own + at], high[own, own + at] = self.off, self.off
-            changed += int(np.count_nonzero((low != had) | (high != top)))
-            self.lb[grid], self.ub[grid] = low, high
-        self.tightenings += changed // 2  # either order of a pair
+        self.tightenings += self._tighten(rest, self.lb[pivot, rest])
         self.refines += 1
         self.rescan(members)
 
+    def _tighten(self, rest: np.ndarray, exact: np.ndarray) -> int:
+        """Bounds among the members from their exact costs to the pivot; gives the number of pairs that changed.
+
+        Some rows at a time, as they lie in memory: few members are picked out of the rows, many are not.
+        """
+        n, changed = len(self.live), 0
+        every, height = 9 * len(rest) > 4 * n, max(1, (1 << 17) // n)
+        if every:
+            cost, other = np.zeros(n, self.kind), np.ones(n, bool)
+            cost[rest], other[rest] = exact, False
+        for at in range(0, len(rest), height):
+            own, e = rest[at : at + height], exact[at : at + height, None]
+            lower, upper = self.lb[own], self.ub[own]
+            if every:
+                had, top, apart, both, diagonal = lower, upper, np.abs(e - cost), e + cost, own
+                apart[:, other], both[:, other] = 0, np.iinfo(self.kind).max
+            else:
+                had, top, apart, both, diagonal = lower.take(rest, axis=1), upper.take(rest, axis=1), np.abs(e - exact), e + exact, np.arange(at, at + len(own))
+            low, high = np.maximum(had, apart), np.minimum(top, both)
+            high[np.arange(len(own)), diagonal] = self.off
+            changed += int(np.count_nonzero((low != had) | (high != top)))
+            if every:
+                lower, upper = low, high
+            else:
+                lower[:, rest], upper[:, rest] = low, high
+            self.lb[own], self.ub[own] = lower, upper
+        return changed // 2  # either order of a pair
+
     def inherit(self, a: int, b: int, cost: int) -> tuple[np.ndarray, np.ndarray]:
         """Bounds of the fused template from those of its parts."""
         self.room_for(cost)

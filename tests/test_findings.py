@@ -19,7 +19,7 @@ def test_generated_workloads_have_the_whole_ranges(monkeypatch):
     asked = []
     monkeypatch.setattr(catalog, "dedupe", lambda df: df)
     monkeypatch.setattr(catalog, "coded_strings", lambda spark, **o: asked.append(o))
-    monkeypatch.setattr(catalog, "compare_searches", lambda df: type("None_", (), {"select": lambda *a: None}))
+    monkeypatch.setattr(catalog, "compare_searches", lambda df, searches: type("None_", (), {"select": lambda *a: None}))
     for name in catalog.QUERIES:
         if name.startswith("synth_"):
             catalog.QUERIES[name](None, "")
