@@ -420,9 +420,9 @@ def same_tree_bounded(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("same_tree_rounds", "SELECT CAST(0 AS bigint) AS differing")
 def same_tree_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """So does round-parallel fusing with intervals, here until 64 templates are left for one worker."""
+    """So does round-parallel fusing with intervals, here until 256 templates are left for one worker."""
     df = relation(spark, sf_dir, "part_code")
-    return differing(tree_of(df, algorithm="pair"), tree_of(df, algorithm="rounds", finish=64)).agg(F.count("*").alias("differing"))
+    return differing(tree_of(df, algorithm="pair"), tree_of(df, algorithm="rounds", finish=256)).agg(F.count("*").alias("differing"))
 
 
 @query("bounded_not_more", "SELECT TRUE AS star_not_more, TRUE AS inherit_not_more, TRUE AS profile_not_more")
