@@ -192,6 +192,28 @@ def test_scratch_needs_a_shared_folder():
     assert scratch.shared_dir(session("local[4]", None)).startswith("file:")
 
 
+def test_members_of_chosen_nodes_only(spark, sf):
+    tree = learn_tree(dedupe(relation(spark, sf, "nation_code")), tie="gap_early")
+    some = tree.nodes.where("card in (2, 3)")
+    got = tree.members(only=some)
+    assert got.select("rep", "card").distinct().count() == some.count()
+    assert got.exceptAll(tree.members()).count() == 0 and {r["card"] for r in got.select("card").distinct().collect()} == {2, 3}
+
+
+def test_rules_as_json_are_all_there(spark):
+    import json
+
+    rows = [(k, f"p{k}") for k in range(1500)]
+    found = [json.loads(r["rule"]) for r in rules.rules_json(spark.createDataFrame(rows, "card long, pattern string")).collect()]
+    assert sorted((x["card"], x["pattern"]) for x in found) == rows
+
+
+def test_the_largest_step_of_costs_parts_clusters(spark):
+    tree = learn_tree(dedupe(spark.createDataFrame([(c,) for c in ("aaa1", "aaa2", "aaa3", "99-99x", "99-98x", "99-97x")], "code string")))
+    cut = tree.cut(max_cost=tree.largest_step())
+    assert sorted((r["rep"], r["card"]) for r in cut.select("rep", "card").collect()) == [("99-97x", 3), ("aaa1", 3)]
+
+
 def test_unseen_codes_meet_templates_by_length_and_lead(spark):
     """Codes that the tree does not hold, with and without the optional parts, and one that no template matches."""
     df = spark.createDataFrame([(f"{h}K{d}{t}", f"v{d}") for h in ("", "S") for d in range(4) for t in ("x", "y", "z")], "code string, v string")
