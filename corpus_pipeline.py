@@ -17,7 +17,7 @@ from alignforge.llm.simhash import keep_one_each
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows whose text has a language."""
+    """Rows whose text has a language, with the language found as lang."""
     return keep_identified(docs)
 
 
