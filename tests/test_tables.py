@@ -18,3 +18,7 @@ def reads(spark, sf, name):
 def test_eta(spark, sf):
     assert largest_count(spark.createDataFrame([(c,) for c in "aababacd"], "key string")).first()[0] == 4
     assert reads(spark, sf, "eta_example") is None
+
+
+def test_metric_on_the_characters_of_codes(spark, sf):
+    assert reads(spark, sf, "metric_check") is None
