@@ -22,3 +22,7 @@ def test_eta(spark, sf):
 
 def test_metric_on_the_characters_of_codes(spark, sf):
     assert reads(spark, sf, "metric_check") is None
+
+
+def test_star_bounds_of_codes(spark, sf):
+    assert reads(spark, sf, "star_example") is None
