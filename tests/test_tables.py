@@ -4,6 +4,7 @@ import pytest
 from pyspark.errors import AnalysisException
 
 from alignforge.operators.claims import largest_count
+from alignforge.operators.pattern import to_display, to_regex
 from alignforge.plans import catalog
 from compare import differences, duck
 
@@ -26,3 +27,8 @@ def test_metric_on_the_characters_of_codes(spark, sf):
 
 def test_star_bounds_of_codes(spark, sf):
     assert reads(spark, sf, "star_example") is None
+
+
+def test_pattern_of_codes(spark, sf):
+    assert to_display(catalog._t1_node().cols) == "{ST}[L]{45}{126}0[i]" and to_regex(catalog._t1_node().cols) == "^([ST])(L?)([45])([126])(0)(i?)$"
+    assert reads(spark, sf, "pattern_example") is None
