@@ -1,9 +1,14 @@
 """Queries that once made their data up now read the given tables; the worked examples stay here."""
 
+import tracemalloc
+
 import pytest
 from pyspark.errors import AnalysisException
 
+from alignforge.operators.bounded import Bounds
 from alignforge.operators.claims import largest_count
+from alignforge.operators.kernel import Pool, leaf
+from alignforge.operators.metric import CharMetric
 from alignforge.operators.pattern import to_display, to_regex
 from alignforge.plans import catalog
 from compare import differences, duck
@@ -32,3 +37,15 @@ def test_star_bounds_of_codes(spark, sf):
 def test_pattern_of_codes(spark, sf):
     assert to_display(catalog._t1_node().cols) == "{ST}[L]{45}{126}0[i]" and to_regex(catalog._t1_node().cols) == "^([ST])(L?)([45])([126])(0)(i?)$"
     assert reads(spark, sf, "pattern_example") is None
+
+
+def test_bounds_hold_one_copy_of_the_intervals():
+    """A block's two interval tables are the memory it takes; picked rows come some at a time."""
+    codes = sorted({f"{k % 7}{'ab'[k % 2]}{k}" for k in range(1500)})
+    low, high = Pool([leaf(c, CharMetric.classes()) for c in codes], CharMetric.classes()).intervals()
+    assert (high == high.T).all() and (low <= high).all()
+    tracemalloc.start()
+    bounds = Bounds(len(codes), low, high)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 0.5 * low.nbytes and bounds.ub is high
