@@ -11,6 +11,7 @@ from alignforge.operators.kernel import Pool, leaf
 from alignforge.operators.metric import CharMetric
 from alignforge.operators.pattern import to_display, to_regex
 from alignforge.plans import catalog
+from alignforge.sources.synth import coded_strings
 from compare import differences, duck
 
 
@@ -49,3 +50,15 @@ def test_bounds_hold_one_copy_of_the_intervals():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert peak < 0.5 * low.nbytes and bounds.ub is high
+
+
+@pytest.mark.parametrize("name", ["synth_cn_10", "synth_cn_100"])
+def test_clusters_of_order_records(spark, sf, name, monkeypatch):
+    """The records are those of orders; where their keys leave all remainders, the codes are the generator's."""
+    with pytest.raises(AnalysisException):
+        catalog.QUERIES[name](spark, "/nowhere").collect()
+    clusters = int(name.rsplit("_", 1)[1])
+    monkeypatch.setitem(catalog.DEFAULTS, "N", 200)
+    got = {r["method"]: r for r in catalog.QUERIES[name](spark, sf).collect()}
+    n = coded_strings(spark, N=200, CN=clusters).select("code").distinct().count()
+    assert {r["n"] for r in got.values()} == {n} and got["pair"]["fuse_evals"] == (n - 1) ** 2
