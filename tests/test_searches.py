@@ -5,7 +5,8 @@ import random
 import numpy as np
 import pytest
 
-from alignforge.operators import kernel
+from alignforge.operators import bounded, kernel
+from alignforge.operators.bounded import Bounds
 from alignforge.operators.kernel import Pool, fuse_cost, leaf
 from alignforge.operators.metric import CharMetric
 
@@ -46,3 +47,50 @@ def test_first_costs_share_beginnings(monkeypatch):
     pool = Pool([leaf(c, METRIC) for c in some], METRIC)
     assert sum(len(c) for _, _, c in pool.triangle()) == 100 * 99 // 2
     assert len(steps) <= len({c[:k] for c in some for k in range(1, len(c) + 1)}) < sum(map(len, some)) / 10
+
+
+def intervals(n, seed=5):
+    """Symmetric random intervals of n places."""
+    r = np.random.default_rng(seed)
+    low = r.integers(0, 9, (n, n))
+    low = np.minimum(low, low.T) + np.minimum.outer(np.arange(n), np.arange(n)) // 10
+    wide = r.integers(0, 5, (n, n))
+    return Bounds(n, low.astype(np.int16), (low + np.minimum(wide, wide.T)).astype(np.int16))
+
+
+def test_critical_pairs_of_all_come_some_at_a_time(monkeypatch):
+    """Without independence too no step holds all pairs, and rows that can't be critical are not looked at again."""
+    monkeypatch.setattr(bounded, "AT_ONCE", 200)
+    b = intervals(60)
+    for _ in range(6):
+        x, y = b.best_upper()
+        want = [[i, j] for i in range(60) for j in range(i + 1, 60) if b.live[i] and b.live[j] and (i, j) != (x, y) and (b.lb[i, j], i, j) < (b.ub[x, y], x, y)]
+        parts = list(b._critical(x, y, False))
+        assert b.critical(x, y, False).tolist() == want and all(len(p) <= 200 for p in parts)
+        star = b.next_star(x, y, False)
+        assert star is None if not want else star[1].tolist() == b.pick_pivot(np.array([*want, [x, y]]))[1].tolist()
+        assert (b.floor > b.ub[x, y]).any()
+        b.replace(x, y, *b.inherit(x, y, 3))
+
+
+@pytest.mark.parametrize("many", [5, 30, 47])
+def test_tightening_looks_at_every_pair_once(many, monkeypatch):
+    """Few members and many, before and after dead places are left out: as by the formula, best partners included."""
+    monkeypatch.setattr(bounded, "AT_ONCE", 300)
+    b = intervals(64)
+    for turn in range(20):
+        k = len(b.live)
+        members = np.sort(np.random.default_rng(turn).choice(np.flatnonzero(b.live), min(many, int(b.live.sum())), replace=False))
+        exact = np.random.default_rng(turn).integers(0, 12, len(members)).astype(np.int16)
+        low, high = b.lb.copy(), b.ub.copy()
+        apart, both = np.abs(exact[:, None] - exact), exact[:, None] + exact
+        at = np.ix_(members, members)
+        low[at], high[at] = np.maximum(low[at], apart), np.minimum(high[at], both)
+        np.fill_diagonal(low, b.off), np.fill_diagonal(high, b.off)
+        changed = np.count_nonzero((low != b.lb) | (high != b.ub)) // 2
+        assert b._tighten(members, exact) == changed
+        assert (b.lb == low).all() and (b.ub == high).all()
+        assert (b.best[b.live] >> 32 == high.min(axis=1)[b.live]).all() and ((b.best & 0xFFFFFFFF) == high.argmin(axis=1))[b.live].all()
+        x, y = b.best_upper()
+        b.replace(x, y, np.zeros(k, b.kind), np.full(k, b.far, b.kind))
+    assert len(b.live) == 47 and b.slot.tolist() == sorted(b.slot.tolist())
