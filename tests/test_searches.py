@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from alignforge.operators import bounded, kernel
+from alignforge.operators.align import compare_searches
 from alignforge.operators.bounded import Bounds
 from alignforge.operators.kernel import Pool, fuse_cost, leaf
 from alignforge.operators.metric import CharMetric
@@ -100,3 +101,12 @@ def test_places_of_set_bytes():
     for shape in ((1, 3), (3, 7), (13, 40)):
         mask = np.random.default_rng(2).random(shape) < 0.1
         assert bounded._places(mask).tolist() == np.flatnonzero(mask).tolist()
+
+
+def test_repeats_are_tasks_of_their_own(spark):
+    """Repeats give the same figures as one run, and none waits for another in its task."""
+    codes = spark.createDataFrame([(f"A{k}-{k % 7}", 1) for k in range(40)], "code string, weight long")
+    one, three = (compare_searches(codes, repeats=r) for r in (1, 3))
+    assert "turn" in three._jdf.queryExecution().toString()
+    figures = lambda df: sorted((r.method, r.n, r.fuse_evals, r.refines, r.tightenings, sorted(r.refine_hist.items()), r.wall_ms >= 0) for r in df.collect())
+    assert len(figures(one)) == 4 and figures(one) == figures(three) and one.columns == three.columns
