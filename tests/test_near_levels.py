@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from alignforge.operators import near
+from alignforge.operators.align import block_by, learn_tree
 from alignforge.operators.kernel import Pool, fuse, fuse_cost, leaf
 from alignforge.operators.metric import CharMetric
 from alignforge.operators.tree import pair_fuse
@@ -71,3 +72,12 @@ def test_known_costs_give_the_same_fuse():
             assert got[1:] == want[1:] and got[0].cols == want[0].cols and got[0].spread == want[0].spread
         if want[0].spread < 25:
             items.append(want[0])
+
+
+def test_a_search_that_was_asked_for_is_not_replaced(spark):
+    """Large blocks of both searches of independence_pages were fused by a third one, without refines to compare."""
+    codes = block_by(spark.createDataFrame([(c,) for c in addresses(40, 1)], "code string"))
+    for independence in (True, False):
+        assert learn_tree(codes, lower="zero", independence=independence).counters.first()["refine_hist"]
+        with pytest.raises(ValueError, match="no other one takes its place"):
+            learn_tree(codes, lower="zero", independence=independence, max_block=20)
